@@ -4,6 +4,7 @@ from __future__ import annotations
 
 import re
 import zlib
+from operator import eq
 
 import numpy as np
 import pyarrow as pa
@@ -17,6 +18,7 @@ BITS = 18
 #: About so many labelled rows are learnt from at most: a share of the hashes of their ids.
 MAX_TRAINING_ROWS = 12_000
 THRESHOLD = 0.7
+REPEAT = 0  # the feature of a repeated word
 
 _SPLIT = re.compile(r"(\w*)(.*)", re.S)
 
@@ -49,7 +51,10 @@ class Hasher:
         h = np.frombuffer(b"".join(map(codes.__getitem__, words)), "<u4")
         pairs = h[:-1] * np.uint32(2654435761) + h[1:]
         mixed = np.concatenate([h * np.uint32(2246822519), pairs * np.uint32(3266489917)]) >> np.uint32(32 - BITS)
-        counts = np.bincount(mixed, minlength=1) if mixed.size > 4096 else None
+        again = sum(map(eq, words, words[1:]))  # pairs of a word with itself are one feature, whatever the word
+        if again:
+            mixed = np.append(mixed, np.full(again, REPEAT, np.uint32))
+        counts = np.bincount(mixed) if mixed.size > 4096 else None
         index, n = (np.flatnonzero(counts), counts[counts > 0]) if counts is not None else np.unique(mixed, return_counts=True)
         value = np.sqrt(n).astype(np.float32)
         return index.astype(np.int32), value / max(1e-9, float(np.sqrt((value * value).sum())))
@@ -97,7 +102,7 @@ def train_quality(docs: DataFrame, labels: DataFrame, max_rows: int = MAX_TRAINI
     model = Ftrl()
     rng = np.random.default_rng(seed)
     positive = sum(r.quality for r in sample)
-    weigh = {1: 1.0, 0: min(8.0, max(1.0, positive / max(1, len(sample) - positive)))}
+    weigh = {1: 1.0, 0: min(4.0, max(1.0, (positive / max(1, len(sample) - positive)) ** 0.5))}
     for _ in range(epochs):
         for k in rng.permutation(len(sample)):
             r = sample[k]
