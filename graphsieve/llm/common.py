@@ -2,9 +2,11 @@
 
 from __future__ import annotations
 
+import gc
 import re
 import sys
 import types
+from array import array
 
 from pyspark.sql import Column, DataFrame, SparkSession
 from pyspark.sql import functions as F
@@ -40,6 +42,27 @@ def utf8(column) -> list[bytes]:
     return column.cast(pa.large_binary()).fill_null(b"").to_pylist()
 
 
+class Recent:
+    """A bounded memory in two generations: entries that are asked for again outlive the older generation."""
+
+    def __init__(self, limit: int):
+        self.limit, self.now, self.old = limit, {}, {}
+
+    def turn(self) -> None:
+        """Starts a new generation when this one is full."""
+        if len(self.now) > self.limit:
+            self.old, self.now = self.now, {}
+
+    def missing(self, keys: set) -> set:
+        """Keys that neither generation holds; of the others all are in ``now`` afterwards."""
+        new = keys.difference(self.now)
+        if new and self.old:
+            gone = new.difference(self.old)
+            self.now.update([(k, self.old[k]) for k in new.difference(gone)])
+            new = gone
+        return new
+
+
 class PieceEncoder:
     """Ids by the tokenizers library, remembered by word.
 
@@ -47,14 +70,16 @@ class PieceEncoder:
     order. Chunks repeat; each distinct one is encoded once and kept as little-endian unsigned 32-bit ids. kind
     "byte": a chunk is a space with the run of other characters behind it, if neither end of the run is white space
     (other texts are cut where a single space stands between two characters that are not white space). kind "word":
-    white space separates and is dropped. The memory is bounded: a full cache is emptied.
+    white space separates and is dropped. A new chunk falls into the pieces of the tokenizer's pattern, and only pieces never seen are
+    given to the tokenizer's model. ``led`` holds what follows a space, ``bare`` what does not; both are bounded.
     """
 
-    CHUNKS, PIECES = 250_000, 300_000
+    LED, BARE = 600_000, 100_000
     BYTE = r"'s|'t|'re|'ve|'m|'ll|'d| ?\p{L}+| ?\p{N}+| ?[^\s\p{L}\p{N}]+|\s+(?!\S)|\s+"
     WORD = r"'s|'t|'re|'ve|'m|'ll|'d|\p{L}+|\p{N}|[^\s\p{L}\p{N}]+"
 
     def __init__(self, path: str, kind: str):
+        import json
         import os
 
         os.environ["TOKENIZERS_PARALLELISM"] = "false"
@@ -63,8 +88,14 @@ class PieceEncoder:
 
         self.kind, self.tokenizer = kind, Tokenizer.from_file(path)
         self.tokenizer.encode_special_tokens = True
-        self.chunks: dict[str, bytes] = {}
-        self.pieces: dict[str, bytes] = {}
+        # the model alone, for pieces that are already cut, folded and written in its alphabet of bytes
+        with open(path, encoding="utf-8") as f:
+            bare = json.load(f) | {"normalizer": None, "pre_tokenizer": None, "post_processor": None, "added_tokens": []}
+        self.model = Tokenizer.from_str(json.dumps(bare))
+        plain = [*range(33, 127), *range(161, 173), *range(174, 256)]
+        self.alphabet = dict(zip(plain, plain)) | {b: 256 + k for k, b in enumerate(b for b in range(256) if b not in set(plain))}
+        self.led = Recent(self.LED)
+        self.bare = self.led if kind == "word" else Recent(self.BARE)
         self.pattern = regex.compile(self.BYTE if kind == "byte" else self.WORD)
         #: beyond these, case folding and classes are left to the tokenizer
         self.foreign = re.compile("[^\x00-\x1b\x20-\x7f\xa1-\u017f]|\u0130")
@@ -75,62 +106,79 @@ class PieceEncoder:
         kept = worker_state()
         key = ("encoder", path, kind)
         if key not in kept:
+            gc.set_threshold(200_000, 50, 1000)  # the memories hold no cycles, but many objects
             kept[key] = cls(path, kind)
         return kept[key]
 
     def _whole(self, texts: list[str]) -> list[bytes]:
-        import numpy as np
-
-        return [np.array(e.ids, "<u4").tobytes() for e in self.tokenizer.encode_batch_fast(texts, add_special_tokens=False)]
+        return [array("I", e.ids).tobytes() for e in self.tokenizer.encode_batch_fast(texts, add_special_tokens=False)]
 
-    def _learn(self, chunks: list[str], lead: str) -> dict[str, bytes]:
-        """Ids of chunks; pieces that are new are encoded in one call."""
-        parts = {}
-        for c in chunks:
-            text = lead + c
-            parts[c] = [text] if self.foreign.search(text) else self.pattern.findall(text.lower() if self.kind == "word" else text)
-        new = list({p for ps in parts.values() for p in ps} - self.pieces.keys())
-        if len(self.pieces) + len(new) > self.PIECES:
-            self.pieces.clear()
-            new = list({p for ps in parts.values() for p in ps})
+    def _fill(self, held: Recent, keys: set, lead: str) -> None:
+        """Gives the pieces ``lead + key`` that are new to the model."""
+        new = list(held.missing(keys))
         if new:
-            self.pieces.update(zip(new, self._whole(new)))
-        return {c: b"".join([self.pieces[p] for p in ps]) for c, ps in parts.items()}
+            table = self.alphabet
+            coded = [(lead + k).encode().decode("latin-1").translate(table) for k in new]
+            held.now.update(zip(new, [array("I", e.ids).tobytes() for e in self.model.encode_batch_fast(coded, add_special_tokens=False)]))
+
+    def _learn(self, chunks: set, lead: str) -> None:
+        """Makes ``now`` hold the ids of new chunks: from a piece alone, or from the pieces that they fall into."""
+        single, several, foreign, fold = set(), {}, [], self.kind == "word"
+        held = self.led if lead or fold else self.bare
+        led, bare = single, set()
+        for c in chunks:
+            if not (c.isascii() and c.isalpha()) and self.foreign.search(c):
+                foreign.append(c)
+                continue
+            text = c.lower() if fold else c
+            if c.isalpha():
+                if text is c or text == c:
+                    single.add(c)
+                else:
+                    several[c] = ((text, True),)
+            elif c and c[-1] in _MARKS and c[:-1].isalpha():
+                several[c] = ((text[:-1], True), (c[-1], False))
+            else:
+                n = len(lead)
+                found = self.pattern.findall(lead + text) if text or lead else []
+                several[c] = tuple((p[n:], True) if k == 0 and p[:n] == lead else (p, False) for k, p in enumerate(found))
+        for ps in several.values():
+            for p, first in ps:
+                (led if first else bare).add(p)
+        other = self.bare if held is not self.bare else held
+        self._fill(held, led, lead)
+        self._fill(other, bare, "")
+        a, b = held.now, other.now
+        ids = {c: b"".join([a[p] if first else b[p] for p, first in ps]) for c, ps in several.items()}
+        held.now.update(ids)
+        if foreign:
+            held.now.update(zip(foreign, self._whole([lead + c for c in foreign])))
 
     def encode(self, text: str) -> bytes:
         """Ids of a text, as little-endian unsigned 32-bit integers."""
         if not text:
             return b""
+        self.led.turn()
+        self.bare.turn()
         if self.kind == "word":
-            return self._join(text.replace("\n", " ").split(" "), "")
+            return self._join(self.led, text.replace("\n", " ").split(" "), "")
         first, *rest = text.split(" ")
-        odd = not first or first[-1].isspace()
-        if not odd:
-            rest_ids = self._join(rest, " ", strict=True)
-            if rest_ids is not None:
-                return self._learn([first], "")[first] + rest_ids
-        return b"".join(self._learn_long(self.cut.split(text)))
-
-    def _learn_long(self, chunks: list[str]) -> list[bytes]:
+        if first and not first[-1].isspace():
+            ids = self._join(self.led, rest, " ", strict=True)
+            if ids is not None:
+                return self._join(self.bare, [first], "") + ids
+        chunks = self.cut.split(text)
         texts = [chunks[0], *(" " + c for c in chunks[1:])]
         ids = dict(zip(new := list(dict.fromkeys(texts)), self._whole(new)))
-        return [ids[t] for t in texts]
-
-    def _join(self, chunks: list[str], lead: str, strict: bool = False) -> bytes | None:
-        cache = self.chunks
-        try:
-            return b"".join(map(cache.__getitem__, chunks))
-        except KeyError:
-            new = list({c for c in chunks if c not in cache})
-        if strict and any(not c or c[0].isspace() or c[-1].isspace() for c in new):
-            return None
-        if len(cache) + len(new) > self.CHUNKS:
-            cache.clear()
-            new = list(set(chunks))
+        return b"".join(map(ids.__getitem__, texts))
+
+    def _join(self, held: Recent, chunks: list[str], lead: str, strict: bool = False) -> bytes | None:
+        new = held.missing(set(chunks))
+        if new:
             if strict and any(not c or c[0].isspace() or c[-1].isspace() for c in new):
                 return None
-        learnt = self._learn(new, lead)
-        if len(new) > self.CHUNKS:
-            return b"".join(map(learnt.__getitem__, chunks))
-        cache.update(learnt)
-        return b"".join(map(cache.__getitem__, chunks))
+            self._learn(new, lead)
+        return b"".join(map(held.now.__getitem__, chunks))
+
+
+_MARKS = frozenset(".,;:!?")
