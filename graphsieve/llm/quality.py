@@ -16,7 +16,7 @@ from graphsieve.llm.common import id_crc, worker_state
 
 BITS = 18
 #: About so many labelled rows are learnt from at most: a share of the hashes of their ids.
-MAX_TRAINING_ROWS = 12_000
+MAX_TRAINING_ROWS = 6_000
 THRESHOLD = 0.7
 REPEAT = 0  # the feature of a repeated word
 
