@@ -25,9 +25,16 @@ def tokenizer_path(name: str) -> str:
     return public_tokenizers.path(name)
 
 
-def worker_state() -> dict:
-    """What a Python worker keeps from task to task (loaded tokenizers and their caches; never results)."""
-    return sys.modules.setdefault("graphsieve_worker_state", types.ModuleType("graphsieve_worker_state")).__dict__.setdefault("kept", {})
+def worker_kept(key, make):
+    """What a Python worker keeps from task to task: one tokenizer with its memory, or one hasher; never results.
+
+    Workers outlive stages, so what the stage before kept goes when another asks.
+    """
+    kept = sys.modules.setdefault("graphsieve_worker_state", types.ModuleType("graphsieve_worker_state")).__dict__.setdefault("kept", {})
+    if key not in kept:
+        kept.clear()
+        kept[key] = make()
+    return kept[key]
 
 
 def id_crc(column: str = "doc_id") -> Column:
@@ -103,12 +110,8 @@ class PieceEncoder:
 
     @classmethod
     def get(cls, path: str, kind: str) -> PieceEncoder:
-        kept = worker_state()
-        key = ("encoder", path, kind)
-        if key not in kept:
-            gc.set_threshold(200_000, 50, 1000)  # the memories hold no cycles, but many objects
-            kept[key] = cls(path, kind)
-        return kept[key]
+        gc.set_threshold(200_000, 50, 1000)  # the memories hold no cycles, but many objects
+        return worker_kept(("encoder", path, kind), lambda: cls(path, kind))
 
     def _whole(self, texts: list[str]) -> list[bytes]:
         return [array("I", e.ids).tobytes() for e in self.tokenizer.encode_batch_fast(texts, add_special_tokens=False)]

@@ -12,7 +12,7 @@ from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 from pyspark.sql import types as T
 
-from graphsieve.llm.common import id_crc, worker_state
+from graphsieve.llm.common import id_crc, worker_kept
 
 BITS = 18
 #: About so many labelled rows are learnt from at most: a share of the hashes of their ids.
@@ -92,7 +92,7 @@ def train_quality(docs: DataFrame, labels: DataFrame, max_rows: int = MAX_TRAINI
     rows = docs.select("doc_id", "text").join(F.broadcast(chosen), "doc_id")  # at most max_rows pairs of numbers
 
     def featured(batches):
-        hasher = worker_state().setdefault("hasher", Hasher())
+        hasher = worker_kept("hasher", Hasher)
         for batch in batches:
             found = [hasher.features(t or "") for t in batch["text"].to_pylist()]
             yield pa.RecordBatch.from_pydict({"doc_id": batch["doc_id"], "quality": batch["quality"].cast(pa.int32()), "index": pa.array([i.tobytes() for i, _ in found], pa.binary()), "value": pa.array([v.astype("<f4").tobytes() for _, v in found], pa.binary())})
@@ -121,7 +121,7 @@ def score_quality(docs: DataFrame, weights: np.ndarray, threshold: float = THRES
     docs = docs.drop("score", "predicted")
 
     def scored(batches):
-        hasher = worker_state().setdefault("hasher", Hasher())
+        hasher = worker_kept("hasher", Hasher)
         w = shared.value
         for batch in batches:
             out = []
