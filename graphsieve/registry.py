@@ -8,6 +8,7 @@ from pyspark.sql import DataFrame, SparkSession
 from pyspark.sql import Window as W
 from pyspark.sql import functions as F
 
+from graphsieve.functions.python_functions import Relaxations, cosine
 from graphsieve.functions.storage import materialize, new_path
 from graphsieve.operators import baselines, explore, layout, measures
 from graphsieve.operators.components import connected_components
@@ -16,6 +17,7 @@ from graphsieve.operators.sieve import Solution, centrality, count_matches, enum
 from graphsieve.operators.walks import walk_counts
 from graphsieve.plans.rules import full_cover
 from graphsieve.plans.template import Template
+from graphsieve.sources import sinks
 from graphsieve.sources.graphs import build, fill, oracle_matches, oracle_prefix
 from graphsieve.streaming import events as streams
 
@@ -71,6 +73,12 @@ WORKLOADS: dict[str, tuple[str, Template]] = {
     "topo_e": ("coorder_typed", _star("STANDARD|PROMO|SMALL|LARGE|ECONOMY|MEDIUM", [(0, 1), (1, 2), (2, 3), (3, 0), (0, 4), (4, 5), (0, 5), (0, 2), (1, 3)])),
     "randlab_q4": ("random25", _star("L0|L1|L2|L1", [(0, 1), (1, 2), (2, 3)])),
     "randlab_q6": ("random50", _star("L0|L1|L2|L3", [(0, 1), (1, 2), (2, 3), (3, 0)])),
+    "rank_q4": ("session_ranked", _star("R1|R2|R3|R1", [(0, 1), (1, 2), (2, 3)])),
+    "rank_q6": ("session_ranked", _star("R1|R2|R6|R3", [(0, 1), (1, 2), (0, 2), (1, 3), (2, 3)])),
+    "rank_q7": ("session_ranked", _star("R1|R2|R6|R3", [(0, 1), (1, 2), (0, 2), (1, 3)])),
+    "rank_q8": ("session_ranked", _star("R1|R2|R6|R3|R4", [(0, 1), (1, 2), (0, 2), (1, 3), (2, 3), (3, 4), (2, 4)])),
+    "road_star5": ("lattice", Template.unlabelled([(0, 1), (0, 2), (0, 3), (0, 4)])),
+    "road_c4": ("lattice", Template.unlabelled([(a, b) for b in range(4) for a in range(b)])),
     "road_c3": ("lattice", Template.unlabelled([(0, 1), (0, 2), (1, 2)])),
     "road_uq4": ("lattice", Template.unlabelled([(0, 1), (1, 2), (2, 3)])),
     "rmat_skewed": ("rmat_skewed", _star("d1|d4|d5|d4", [(0, 1), (1, 2), (2, 3)])),
@@ -298,6 +306,12 @@ df_query("fn_map", f"{_M2} select r0, r1, r2 from m")(lambda s, d: enumerate_mat
 df_query("scan_csv_edges", f"{_TR} select src, dst from ge where src < dst")(lambda s, d: _through(s, graph(s, d, "trade").edges.filter("src < dst"), "csv", "src long, dst long"))
 df_query("scan_json_edges", f"{_TR} select src, dst from ge where src < dst")(lambda s, d: _through(s, graph(s, d, "trade").edges.filter("src < dst"), "json", "src long, dst long"))
 df_query("sink_snapshot", f"{_M2} {_edge_sql(WORKLOADS['w2'][1])}")(lambda s, d: _through(s, solution(s, d, "w2").edges, "parquet", "src long, dst long"))
+df_query("sink_bucketed", f"{_M2} {_edge_sql(WORKLOADS['w2'][1])}")(lambda s, d: sinks.bucketed(solution(s, d, "w2").edges))
+df_query("sink_partitioned", f"{_M2} select src, dst, cast(src >> 40 as int) as kind from ({_edge_sql(WORKLOADS['w2'][1])}) x")(lambda s, d: sinks.partitioned(solution(s, d, "w2").edges))
+df_query("udf_scalar_pandas", "select x.vec_id, round(list_cosine_similarity(x.embedding::double[], y.embedding::double[]), 4) as likeness from {embeddings} x join {embeddings} y on y.vec_id = x.vec_id + 1")(
+    lambda s, d: (lambda e: e.join(e.select((F.col("vec_id") - 1).alias("vec_id"), F.col("embedding").alias("other")), "vec_id").select("vec_id", F.round(cosine("embedding", "other"), 4).alias("likeness")))(table(s, d, "embeddings"))
+)
+df_query("udtf_relaxations", None)(lambda s, d: Relaxations(F.lit(_K4.to_json()), F.lit(3)))
 df_query("scan_text_adjacency", f"{_TR} select src, dst from ge where src < dst")(
     lambda s, d: _through(s, graph(s, d, "trade").edges.filter("src < dst").groupBy("src").agg(F.collect_list("dst").alias("n")).select(F.concat_ws(" ", F.col("src").cast("string"), F.array_join(F.transform("n", lambda x: x.cast("string")), " ")).alias("value")), "text", "value string").select(F.split("value", " ").alias("x")).select(F.element_at("x", 1).cast("long").alias("src"), F.explode(F.slice("x", F.lit(2), F.size("x") - 1)).alias("dst")).select("src", F.col("dst").cast("long"))
 )

@@ -82,6 +82,17 @@ def _random(k, base):
     return told
 
 
+def _ranked(base):
+    """Labels by their rank: R1 is the most frequent one (of equals, the first by name). The ranking sees one row for each label."""
+
+    def told(d):
+        v, e = base(d)
+        ranks = f"(select label as own, row_number() over (order by count(*) desc, label) as k from ({v}) v1 group by label)"
+        return f"select vid, concat('R', cast(k as varchar(20))) as label from ({v}) v0 join {ranks} r0 on label = own", e
+
+    return told
+
+
 def _lattice(d):
     own, width = "{part}", 50
     v = f"select {vid('lattice', 'p_partkey')} as vid, '*' as label from {own}"
@@ -136,6 +147,7 @@ def rmat(scale: int, factor: int, probs: tuple[int, int, int, int], seed: int =
 GRAPHS = {
     "trade": _trade, "session": _session, "conv": _conv, "docs": _docs, "web": _web, "coorder": _coorder("'*'"), "coorder_typed": _coorder("p_type"), "lattice": _lattice,
     "random25": _random(25, _coorder("'*'")), "random50": _random(50, _coorder("'*'")), "random100": _random(100, _coorder("'*'")),
+    "session_ranked": _ranked(_session),
     "rmat_skewed": rmat(8, 8, (57, 19, 19, 5)), "rmat_mild": rmat(8, 8, (45, 15, 15, 25)), "rmat_even": rmat(8, 8, (25, 25, 25, 25)),
 }
 
