@@ -5,7 +5,7 @@ import duckdb
 import pytest
 
 TABLES = "region nation customer supplier part orders lineitem events documents embeddings pages benchmark labels conversations".split()
-NAMES = ["join_asof", "join_semi", "agg_basic", "agg_cube", "win_lead_lag", "set_except_all", "fn_json", "sub_exists", "degree_stats", "graph_session", "tumbling_counts", "clique3", "baseline_triple_w2", "sol_edges_w2", "count_w2", "count_rank_q6", "count_road_c4", "sink_bucketed", "sink_partitioned", "udf_scalar_pandas"]
+NAMES = ["join_asof", "join_semi", "agg_basic", "agg_cube", "win_lead_lag", "set_except_all", "fn_json", "sub_exists", "degree_stats", "graph_session", "tumbling_counts", "clique3", "baseline_triple_w2", "sol_edges_w2", "count_w2", "count_rank_q6", "sink_bucketed", "sink_partitioned", "udf_scalar_pandas"]
 
 
 @pytest.fixture(scope="module")
