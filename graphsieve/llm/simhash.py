@@ -153,6 +153,16 @@ def near_duplicates(docs: DataFrame, shingle: int = 4, max_bits: int = MAX_BITS)
     return made.join(named, "fp").select("doc_id", F.lower(F.lpad(F.hex("fp"), 16, "0")).alias("fingerprint"), "component_id")
 
 
+def with_rows(docs: DataFrame) -> DataFrame:
+    """``docs`` with a unique ``_row``, written once so that the numbers hold."""
+    return materialize(docs.withColumn("_row", F.monotonically_increasing_id()), "near-docs")
+
+
+def order_of(row: str = "_row"):
+    """What orders the rows of a group: the smallest doc_id first, nulls last, then the row."""
+    return F.struct(F.col("doc_id").isNull().alias("no_id"), F.col("doc_id"), F.col(row).alias("row"))
+
+
 def keep_one(docs: DataFrame, shingle: int = 4, max_bits: int = MAX_BITS) -> DataFrame:
     """One document of each group stays: that of the smallest doc_id. Of rows that repeat this id, one stays; null ids stay only in a group
     without others (one row)."""
