@@ -1,7 +1,7 @@
 """Language-model scores by a gated recurrent network in numpy.
 
 Words are the commonest of the corpus and one stand-in for all others. Output is factored by classes of about equal mass: the class,
-then the word within it, both from the recurrent state. Training is truncated backpropagation through time on a share of the
+then the word within it, both from the recurrent state. Training is truncated backpropagation through time over all
 training documents (dealt to trainers whose parameters are averaged round by round); scoring carries the state across windows to the
 document's end. A word outside the vocabulary is the stand-in times its share among such words, from counts over all training documents,
 so scores are log-likelihoods of whole texts over an open vocabulary. The counts also give the unigram base score.
@@ -23,7 +23,7 @@ from graphsieve.llm.common import id_crc, materialize, utf8
 WORDS, CLASSES, HIDDEN = 2048, 32, 16
 #: Words whose counts are held by every task; the rest are joined.
 HELD_WORDS = 150_000
-TRAIN_SHARE, ROUNDS, MAX_TRAINERS = 1 / 8, 2, 64
+ROUNDS, MAX_TRAINERS = 2, 64
 LANES, STEPS = 256, 32
 SMOOTH = 0.1
 END = b""  # no word is empty
@@ -263,16 +263,17 @@ def word_counts(training: DataFrame) -> DataFrame:
     return training.select("text").mapInArrow(counted, "word binary, n long").groupBy("word").agg(F.sum("n").alias("n"))
 
 
-def train(training: DataFrame, vocabulary: Vocabulary, share: float = TRAIN_SHARE, rounds: int = ROUNDS, seed: int = 1) -> np.ndarray:
-    """Parameters after ``rounds`` of averaging. A share of the documents, by a hash, is dealt to trainers and rounds.
+def train(training: DataFrame, vocabulary: Vocabulary, rounds: int = ROUNDS, seed: int = 1) -> tuple[np.ndarray, int]:
+    """Parameters after ``rounds`` of averaging, and the tokens learnt from. Every document is dealt to one trainer and one round; copies are spread.
 
     Trainers follow the session's shuffle partitions, up to MAX_TRAINERS; only their parameters (half a MB each) reach the driver.
     """
     spark = training.sparkSession
     trainers = max(1, min(MAX_TRAINERS, int(spark.conf.get("spark.sql.shuffle.partitions"))))
-    draw = F.pmod(F.xxhash64("doc_id", F.lit(seed)), F.lit(1 << 20))
-    chosen = training.filter(draw < int(share * (1 << 20))).select("text", F.pmod(F.xxhash64("doc_id", F.lit(seed + 1)), F.lit(rounds)).alias("round"))
-    chosen = materialize(chosen.repartition(trainers, F.xxhash64("text")), "lm-sample")
+    dealt = training.select("text", F.xxhash64(F.monotonically_increasing_id(), F.lit(seed)).alias("draw"))
+    dealt = dealt.select("text", "draw", F.pmod(F.xxhash64("draw"), F.lit(rounds)).alias("round"))
+    chosen = materialize(dealt.repartition(trainers, "draw").select("text", "round"), "lm-training")
+    seen = 0
     flat = Gru(vocabulary, seed=seed).flat()
     for r in range(rounds):
         held = spark.sparkContext.broadcast((vocabulary, flat))
@@ -294,10 +295,11 @@ def train(training: DataFrame, vocabulary: Vocabulary, share: float = TRAIN_SHAR
         part = chosen.filter(F.col("round") == r).select("text").coalesce(trainers)
         found = part.mapInArrow(learnt, "tokens long, p binary").collect()  # one row per task, at most MAX_TRAINERS tasks
         total = sum(x.tokens for x in found)
+        seen += total
         if total:
             flat = sum(np.frombuffer(x.p, np.float32) * np.float32(x.tokens / total) for x in found)
         held.unpersist()
-    return flat
+    return flat, seen
 
 
 def _commonest(lexicon: DataFrame, most: int) -> list[tuple[bytes, int]]:
@@ -327,7 +329,7 @@ def lm_scores(docs: DataFrame, held_words: int = HELD_WORDS) -> DataFrame:
     total, distinct = lexicon.agg(F.coalesce(F.sum("n"), F.lit(0)), F.count("*")).first()
     top = _commonest(lexicon, held_words)
     vocabulary = Vocabulary(top, total)
-    flat = train(training, vocabulary) if total else Gru(vocabulary).flat()
+    flat = train(training, vocabulary)[0] if total else Gru(vocabulary).flat()
     counts = dict(top)
     in_model = sum(counts[w] for w in vocabulary.ids)
     outside = (total - in_model) + SMOOTH * (distinct - len(vocabulary.ids) + 1)
