@@ -164,9 +164,9 @@ def order_of(row: str = "_row"):
 
 
 def keep_one(docs: DataFrame, shingle: int = 4, max_bits: int = MAX_BITS) -> DataFrame:
-    """One document of each group stays: that of the smallest doc_id. Of rows that repeat this id, one stays; null ids stay only in a group
-    without others (one row)."""
-    found = near_duplicates(docs, shingle, max_bits)
-    kept = found.filter(F.col("doc_id").eqNullSafe(F.col("component_id"))).select("doc_id").distinct()
-    once = docs.join(kept.withColumnRenamed("doc_id", "_kept"), F.col("doc_id").eqNullSafe(F.col("_kept")), "left_semi")
-    return once.dropDuplicates(["doc_id"])
+    """One row of each group stays: that of the smallest doc_id, null ids last. Rows are told apart by a number of their own, so null and repeated
+    ids of different groups all stay."""
+    docs = with_rows(docs)
+    found = near_duplicates(docs.select(F.col("_row").alias("doc_id"), "text"), shingle, max_bits).select(F.col("doc_id").alias("_row"), "component_id")
+    kept = docs.select("_row", "doc_id").join(found, "_row").groupBy("component_id").agg(F.min(order_of()).alias("first"))
+    return docs.join(kept.select(F.col("first.row").alias("_row")), "_row", "left_semi").drop("_row")
