@@ -41,6 +41,8 @@ COUNTER = "version|chapter|page|seite|figure|isbn|\\$|price|eur|usd"
 LABELERS = ("format", "gazetteer", "context", "glue")
 ACCEPT = 0.5
 BEFORE, AFTER = 24, 8
+#: Parts that the rows of a common shape are dealt to.
+SALTS = 16
 
 
 def _luhn(digits: Column) -> Column:
@@ -162,14 +164,18 @@ def classify(rows: DataFrame) -> tuple[DataFrame, dict]:
     posterior = {":".join(map(str, (k, *v))): p for k, m in models.items() for v, p in m["posterior"].items()}
     voted = voted.withColumn("soft", _table(code, posterior, 0.5))
     score = _table(F.col("kind"), {k: math.log(m["prior"] / (1 - m["prior"])) for k, m in models.items()}, 0.0)
-    for f in ("f_left", "f_right", "f_size", "f_shape", "f_cue"):
-        # the commonest values of a feature; others weigh nothing
-        counts = voted.groupBy("kind", f).agg(F.sum("soft").alias("yes"), F.sum(1 - F.col("soft")).alias("no"), F.count("*").alias("n")).orderBy(F.desc("n"), "kind", f).limit(400).collect()
-        yes, no = {}, {}
-        for r in counts:
-            yes[r[0]], no[r[0]] = yes.get(r[0], 0) + r.yes, no.get(r[0], 0) + r.no
-        weights = {f"{r[0]}:{r[1]}": math.log((r.yes + 0.5) / (yes[r[0]] + 1)) - math.log((r.no + 0.5) / (no[r[0]] + 1)) for r in counts}
+    sums = [F.sum("soft").alias("yes"), F.sum(1 - F.col("soft")).alias("no")]
+    totals = {r.kind: (r.yes, r.no) for r in voted.groupBy("kind").agg(*sums).collect()}
+    for f in ("f_left", "f_right", "f_size", "f_cue"):
+        counts = voted.groupBy("kind", f).agg(*sums).collect()  # at most 7 * 64 rows
+        weights = {f"{r[0]}:{r[1]}": math.log((r.yes + 0.5) / (totals[r[0]][0] + 1)) - math.log((r.no + 0.5) / (totals[r[0]][1] + 1)) for r in counts}
         score = score + _table(F.concat_ws(":", "kind", f), weights, 0.0)
+    # shapes have no bound: their weights are a table, joined with salt, as a few shapes are very common
+    whole = _table(F.col("kind"), {k: math.log(no + 1) - math.log(yes + 1) for k, (yes, no) in totals.items()}, 0.0)
+    shapes = voted.groupBy("kind", "f_shape").agg(*sums).select("kind", "f_shape", (F.log(F.col("yes") + 0.5) - F.log(F.col("no") + 0.5) + whole).alias("w_shape"))
+    shapes = materialize(shapes, "pii-shapes").withColumn("salt", F.explode(F.sequence(F.lit(0), F.lit(SALTS - 1))))
+    voted = voted.withColumn("salt", F.pmod(F.xxhash64("uid", "start"), F.lit(SALTS)).cast("int")).join(shapes, ["kind", "f_shape", "salt"], "left").drop("salt")
+    score = score + F.coalesce("w_shape", F.lit(0.0))
     # the classifier's word and the labelers' on the span itself
     logit = F.greatest(F.lit(-30.0), F.least(F.lit(30.0), score)) * 0.5 + F.log(F.greatest("soft", F.lit(1e-9)) / F.greatest(1 - F.col("soft"), F.lit(1e-9))) * 0.5
     return voted.withColumn("probability", 1 / (1 + F.exp(-logit))), models
