@@ -78,14 +78,15 @@ class PieceEncoder:
     "byte": a chunk is a space with the run of other characters behind it, if neither end of the run is white space
     (other texts are cut where a single space stands between two characters that are not white space). kind "word":
     white space separates and is dropped. A new chunk falls into the pieces of the tokenizer's pattern, and only pieces never seen are
-    given to the tokenizer's model. ``led`` holds what follows a space, ``bare`` what does not; both are bounded.
+    given to the tokenizer's model. Operators (``get``) map the text of an added token to its id, as the library does by default;
+    texts that hold one go to it whole. ``led`` holds what follows a space, ``bare`` what does not; both are bounded.
     """
 
     LED, BARE = 600_000, 100_000
     BYTE = r"'s|'t|'re|'ve|'m|'ll|'d| ?\p{L}+| ?\p{N}+| ?[^\s\p{L}\p{N}]+|\s+(?!\S)|\s+"
     WORD = r"'s|'t|'re|'ve|'m|'ll|'d|\p{L}+|\p{N}|[^\s\p{L}\p{N}]+"
 
-    def __init__(self, path: str, kind: str):
+    def __init__(self, path: str, kind: str, added: bool = False):
         import json
         import os
 
@@ -97,8 +98,10 @@ class PieceEncoder:
         self.tokenizer.encode_special_tokens = True
         # the model alone, for pieces that are already cut, folded and written in its alphabet of bytes
         with open(path, encoding="utf-8") as f:
-            bare = json.load(f) | {"normalizer": None, "pre_tokenizer": None, "post_processor": None, "added_tokens": []}
+            given = json.load(f)
+        bare = given | {"normalizer": None, "pre_tokenizer": None, "post_processor": None, "added_tokens": []}
         self.model = Tokenizer.from_str(json.dumps(bare))
+        self.markers = [t["content"] for t in given["added_tokens"]] if added else []
         plain = [*range(33, 127), *range(161, 173), *range(174, 256)]
         self.alphabet = dict(zip(plain, plain)) | {b: 256 + k for k, b in enumerate(b for b in range(256) if b not in set(plain))}
         self.led = Recent(self.LED)
@@ -111,7 +114,7 @@ class PieceEncoder:
     @classmethod
     def get(cls, path: str, kind: str) -> PieceEncoder:
         gc.set_threshold(200_000, 50, 1000)  # the memories hold no cycles, but many objects
-        return worker_kept(("encoder", path, kind), lambda: cls(path, kind))
+        return worker_kept(("encoder", path, kind), lambda: cls(path, kind, added=True))
 
     def _whole(self, texts: list[str]) -> list[bytes]:
         return [array("I", e.ids).tobytes() for e in self.tokenizer.encode_batch_fast(texts, add_special_tokens=False)]
@@ -161,6 +164,12 @@ class PieceEncoder:
         """Ids of a text, as little-endian unsigned 32-bit integers."""
         if not text:
             return b""
+        for marker in self.markers:
+            if marker in text:
+                self.tokenizer.encode_special_tokens = False  # the library's default
+                ids = self.tokenizer.encode(text, add_special_tokens=False).ids
+                self.tokenizer.encode_special_tokens = True
+                return array("I", ids).tobytes()
         self.led.turn()
         self.bare.turn()
         if self.kind == "word":
