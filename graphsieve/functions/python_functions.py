@@ -33,3 +33,26 @@ class Relaxations:
         for level in range(most + 1):
             for k, x in enumerate(t.relaxations(level)):
                 yield level, k, " ".join(f"{a}-{b}" for a, b in x.edges)
+
+
+@pandas_udf(T.DoubleType())
+def jaccard(own: pd.Series, other: pd.Series) -> float:
+    """Grouped: how alike two columns of a group are as sets; nulls are left out, two empty sets are alike."""
+    a, b = set(own.dropna()), set(other.dropna())
+    return len(a & b) / len(a | b) if a | b else 1.0
+
+
+def bucketed_labels(frames):
+    """For mapInPandas: ``(vid, label)`` with the kind of the vertex split from its label."""
+    for f in frames:
+        parts = f["label"].str.partition(":")
+        yield pd.DataFrame({"vid": f["vid"], "kind": parts[0], "detail": parts[2]})
+
+
+def triangles_of(frame: pd.DataFrame) -> pd.DataFrame:
+    """For applyInPandas: a component's edges ``(component, src, dst)``, both ways, to its number of triangles, by backtracking."""
+    near: dict[int, set[int]] = {}
+    for a, b in zip(frame["src"], frame["dst"]):
+        near.setdefault(a, set()).add(b)
+    n = sum(1 for a in near for b in near[a] if a < b for c in near[a] & near[b] if b < c)
+    return pd.DataFrame({"component": [frame["component"].iloc[0]], "triangles": [n]})

@@ -6,49 +6,89 @@ import pyarrow as pa
 from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
-from graphsieve.functions.storage import materialize
-from graphsieve.operators.reduce import LabeledGraph
+from graphsieve.functions.storage import discard, materialize
+from graphsieve.operators.reduce import LabeledGraph, with_end_labels
 from graphsieve.plans.template import Template
 
 REPLICATED_EDGES = 2_000_000
 
 
-def triple_join(g: LabeledGraph, t: Template, hint: str | None = None) -> DataFrame:
-    """One scan of the edges for each template edge, joined as Catalyst likes or by the hinted strategy (``shuffle_hash``, ``merge``)."""
-    v = g.vertices
-    out = v.filter(F.col("label") == t.labels[0]).select(F.col("vid").alias("r0"))
-    order = [0]
+def _ends(g: LabeledGraph) -> DataFrame:
+    return g.edges if "slabel" in g.edges.columns else with_end_labels(g.edges, g.vertices)
+
+
+def pair_counts(g: LabeledGraph, t: Template) -> dict[tuple[str, str], int]:
+    """Data edges by the labels of their ends, for the template's labels (a row per pair of them)."""
+    labels = list(t.by_label)
+    rows = _ends(g).filter(F.col("slabel").isin(labels) & F.col("dlabel").isin(labels)).groupBy("slabel", "dlabel").count().collect()
+    return {(r[0], r[1]): r[2] for r in rows}
+
+
+def join_order(g: LabeledGraph, t: Template) -> list[int]:
+    """Roles by estimated cost: from the rarest template edge on, always the role that multiplies the rows least (edges per vertex of each bound
+    neighbour's label, and the chance that further edges to bound roles exist)."""
+    pairs = pair_counts(g, t)
+    n = {r[0]: r[1] for r in g.vertices.filter(F.col("label").isin(list(t.by_label))).groupBy("label").count().collect()}
+    size = lambda a, b: pairs.get((t.labels[a], t.labels[b]), 0)
+    if not t.edges:
+        return [0]
+    order = list(min(t.edges, key=lambda e: (size(*e), e)))
+
+    def grows(q):
+        at, *more = sorted(t.adjacent[q] & set(order), key=lambda x: size(x, q) / max(1, n.get(t.labels[x], 0)))
+        out = size(at, q) / max(1, n.get(t.labels[at], 0))
+        for x in more:
+            out *= size(x, q) / max(1, n.get(t.labels[x], 0) * n.get(t.labels[q], 0))
+        return out, q
+
     while len(order) < t.n:
-        q = next(x for x in range(t.n) if x not in order and t.adjacent[x] & set(order))
-        at, *more = sorted(t.adjacent[q] & set(order))
+        order.append(min((q for q in range(t.n) if q not in order and t.adjacent[q] & set(order)), key=grows))
+    return order
+
+
+def _joined(g: LabeledGraph, t: Template, order: list[int], hint: str | None) -> DataFrame:
+    v = g.vertices
+    out = v.filter(F.col("label") == t.labels[order[0]]).select(F.col("vid").alias(f"r{order[0]}"))
+    bound = [order[0]]
+    for q in order[1:]:
+        at, *more = sorted(t.adjacent[q] & set(bound))
         e = g.edges.select(F.col("src").alias(f"r{at}"), F.col("dst").alias(f"r{q}")).join(v.filter(F.col("label") == t.labels[q]).select(F.col("vid").alias(f"r{q}")), f"r{q}")
         out = out.join(e.hint(hint) if hint else e, f"r{at}")
-        for x in order:
+        for x in bound:
             if t.labels[x] == t.labels[q]:
                 out = out.filter(F.col(f"r{x}") != F.col(f"r{q}"))
         for x in more:
             c = g.edges.select(F.col("src").alias(f"r{x}"), F.col("dst").alias(f"r{q}"))
             out = out.join(c.hint(hint) if hint else c, [f"r{x}", f"r{q}"], "left_semi")
-        order.append(q)
+        bound.append(q)
     return out.select(*[f"r{q}" for q in range(t.n)])
 
 
+def triple_join(g: LabeledGraph, t: Template, hint: str | None = None) -> DataFrame:
+    """One scan of the edges for each template edge, in the order of an estimated cost, joined as Catalyst likes or by the hinted strategy
+    (``shuffle_hash``, ``merge``)."""
+    return _joined(g, t, join_order(g, t), hint)
+
+
 def direct_enumerate(g: LabeledGraph, t: Template) -> DataFrame:
-    """Vertex by vertex without masks or reduction."""
-    return triple_join(g, t)
+    """Vertex by vertex in the order of the roles as given: no masks, no reduction, no statistics."""
+    order = [0]
+    while len(order) < t.n:
+        order.append(next(x for x in range(t.n) if x not in order and t.adjacent[x] & set(order)))
+    return _joined(g, t, order, None)
 
 
 def replicated_enumerate(g: LabeledGraph, t: Template, most: int = REPLICATED_EDGES) -> DataFrame:
     """Every worker holds the edges of the template's labels and searches depth-first from its share of the sources. Refuses larger graphs."""
     labels = list(t.by_label)
-    v = g.vertices.filter(F.col("label").isin(labels))
-    e = g.edges.join(v.select(F.col("vid").alias("src"), F.col("label").alias("sl")), "src").join(v.select(F.col("vid").alias("dst"), F.col("label").alias("dl")), "dst")
+    e = _ends(g).filter(F.col("slabel").isin(labels) & F.col("dlabel").isin(labels))
     n = e.count()
     if n > most:
         raise ValueError(f"{n} edges: this baseline replicates at most {most}")
     adjacency: dict = {}
-    for r in e.select("src", "dst", "dl").toLocalIterator():
-        adjacency.setdefault(r[0], {}).setdefault(r[2], set()).add(r[1])
+    held_edges = e.select("src", "dst", "dlabel").toArrow()
+    for a, b, label in zip(*(held_edges[c].to_pylist() for c in ("src", "dst", "dlabel"))):
+        adjacency.setdefault(a, {}).setdefault(label, set()).add(b)
     held = g.edges.sparkSession.sparkContext.broadcast(adjacency)
     order = [0]
     while len(order) < t.n:
@@ -68,11 +108,17 @@ def replicated_enumerate(g: LabeledGraph, t: Template, most: int = REPLICATED_ED
                 yield from go(bound | {q: x})
 
         for batch in batches:
-            rows = [m for s in batch["vid"].to_pylist() for m in go({0: s})]
+            rows = []
+            for s in batch["vid"].to_pylist():
+                for m in go({0: s}):
+                    rows.append(m)
+                    if len(rows) == 50_000:
+                        yield pa.RecordBatch.from_arrays([pa.array(c, pa.int64()) for c in zip(*rows)], names=[f"r{q}" for q in range(t.n)])
+                        rows = []
             if rows:
                 yield pa.RecordBatch.from_arrays([pa.array(c, pa.int64()) for c in zip(*rows)], names=[f"r{q}" for q in range(t.n)])
 
-    return v.filter(F.col("label") == t.labels[0]).select("vid").mapInArrow(searched, schema)
+    return g.vertices.filter(F.col("label") == t.labels[0]).select("vid").mapInArrow(searched, schema)
 
 
 def clique_grow(edges: DataFrame, k: int) -> DataFrame:
@@ -83,5 +129,6 @@ def clique_grow(edges: DataFrame, k: int) -> DataFrame:
         grown = out.join(up.select(F.col("src").alias(f"c{n - 1}"), F.col("dst").alias(f"c{n}")), f"c{n - 1}")
         for x in range(n - 1):
             grown = grown.join(up.select(F.col("src").alias(f"c{x}"), F.col("dst").alias(f"c{n}")), [f"c{x}", f"c{n}"], "left_semi")
-        out = materialize(grown.select(*[f"c{x}" for x in range(n + 1)]), f"clique-{n + 1}")
+        before, out = out, materialize(grown.select(*[f"c{x}" for x in range(n + 1)]), f"clique-{n + 1}")
+        discard(before)
     return out

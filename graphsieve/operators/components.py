@@ -5,7 +5,7 @@ from __future__ import annotations
 from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
-from graphsieve.functions.storage import materialize
+from graphsieve.functions.storage import discard, materialize, written
 
 
 def connected_components(edges: DataFrame, src: str = "src", dst: str = "dst", max_rounds: int = 60) -> DataFrame:
@@ -21,9 +21,10 @@ def connected_components(edges: DataFrame, src: str = "src", dst: str = "dst", m
     links = materialize(pairs.filter("a <> b").select(F.greatest("a", "b").alias("a"), F.least("a", "b").alias("b")).distinct(), "cc-links")
     before = None
     for _ in range(max_rounds):
-        links = materialize(_above(links), "cc-above")
-        links = materialize(_below(links), "cc-below")
-        seen = links.agg(F.count("*"), F.sum(F.pmod(F.xxhash64("a", "b"), F.lit(1 << 40)))).first()
+        above = materialize(_above(links), "cc-above")
+        discard(links)
+        links, seen = written(_below(above), "cc-below", mixed=F.pmod(F.xxhash64("a", "b"), F.lit(1 << 32)))
+        discard(above)
         if seen == before:
             break
         before = seen

@@ -4,15 +4,20 @@ from __future__ import annotations
 
 import time
 from dataclasses import dataclass
+from functools import cached_property, reduce
 
 from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
+from graphsieve.operators import local
 from graphsieve.operators.reduce import LabeledGraph, State, init_candidates, neighbourhood_fixpoint
-from graphsieve.operators.walks import begin, confirm, extend, walk_check
+from graphsieve.operators.walks import begin, confirm, extend, hop, hubs_of, rule_check, walk_check
 from graphsieve.plans.rules import WalkPlan, generate, schedule
 from graphsieve.plans.template import Template, TemplateProfile
 
+#: Directed active edges (32 bytes each) from which on the rest is left to one task.
+LOCAL_EDGES = 1_000_000
+
 
 @dataclass
 class Solution:
@@ -36,67 +41,131 @@ class Solution:
     def role_map(self) -> DataFrame:
         return self.vertices.select("vid", F.explode("roles").alias("role"))
 
+    @cached_property
+    def frequency(self) -> dict[str, int]:
+        return label_frequency(self.state)
+
 
-def label_frequency(vertices: DataFrame) -> dict[str, int]:
-    """A row per label of the template's, never of the graph."""
-    return {r[0]: r[1] for r in vertices.groupBy("label").count().collect()}
+def label_frequency(state: State) -> dict[str, int]:
+    """Vertices left by label: a row per label of the template's, never of the graph."""
+    return {r[0]: r[1] for r in state.vertices.groupBy("label").count().collect()}
 
 
-def sieve(g: LabeledGraph, t: Template, *, rule: str = "hall", eliminate: str = "both", how: str = "live", policy: str = "type_then_length", every_start: bool = False, edge_scope: str = "confirmed", max_rules: int | None = None, deadline_s: float | None = None, buckets: int = 1, switch_below: int | None = None, state: State | None = None) -> Solution:
+def sieve(
+    g: LabeledGraph | None, t: Template, *, rule: str = "hall", eliminate: str = "both", how: str = "live", policy: str = "type_then_length", starts: str = "all", extra: int = 0, edge_scope: str = "confirmed",
+    max_rules: int | None = None, deadline_s: float | None = None, buckets: int = 1, switch_below: int | None = None, local_below: int = LOCAL_EDGES, hub_degree: int | None = None, state: State | None = None,
+) -> Solution:
     """Reduce ``g`` to the union of all matches of ``t``.
 
     Neighbourhood checks to a fixpoint, then each rule followed by the fixpoint if it took something, then confirmation. Stopping early
-    (``max_rules``, ``deadline_s``, or ``edge_scope="roles"``) leaves a superset: recall stays complete. ``switch_below``: with fewer active edges
-    rules are skipped and confirmation does all. ``state``: start from this superset instead of the graph.
+    (``max_rules``, ``deadline_s``, or ``edge_scope="roles"``) leaves a superset: recall stays complete. ``starts``: "all" settles all roles of a
+    rule by one walk forward and back; "every" walks a cycle from each of its roles and a path from both ends; "rarest" from one role.
+    ``how`` folds tokens on what is read later ("live"), not at all ("none"), or walks cycles and paths in order with tokens of their issuer and last position
+    ("issuer"; where that is unsafe, "live"). ``buckets`` divides the tokens in flight. ``switch_below``: with fewer active edges rules are skipped and confirmation does
+    all. ``local_below``: with no more active edges the rest is done by one task; 0: never. ``hub_degree``: edges from which on a vertex is spread over tasks.
+    ``state``: start from this superset instead of the graph; its tables stay.
     """
+    if starts not in ("all", "every", "rarest") or how not in ("live", "none", "issuer"):
+        raise ValueError("starts is all, every or rarest; how is live, none or issuer")
+    if how != "live" and starts == "all":
+        starts = "every"  # a walk back needs folded tokens
     began = time.time()
-    s = state or init_candidates(g, t)
-    s = State(s.vertices, s.edges, [])
-    s = neighbourhood_fixpoint(s, t, rule, eliminate)
-    s.trace[-1]["seconds"] = time.time() - began
-    if TemplateProfile.of(t).local_is_exact:
+    s = init_candidates(g, t) if state is None else State(t, state.edges, state.rows, state.alone, [], borrowed=True)
+    options = {"rule": rule, "eliminate": eliminate, "how": how, "policy": policy, "starts": starts, "extra": extra, "edge_scope": edge_scope, "switch_below": switch_below}
+    early = max_rules is not None
+
+    def rest(s: State, k: int, skip: tuple = ()) -> Solution:
+        left = None if deadline_s is None else deadline_s - (time.time() - began)
+        out = local.sieve_here(s, **options, max_rules=None if max_rules is None else max(0, max_rules - k), deadline_s=left, skip=skip)
+        out.trace[0].setdefault("started", began)
+        return Solution(t, out, edge_scope != "roles" and (TemplateProfile.of(t).local_is_exact or out.trace[-1]["stage"] == "confirm" or not out.rows))
+
+    if 0 < s.rows <= local_below:
+        return rest(s, 0)
+    at = time.time()
+    s = neighbourhood_fixpoint(s, t, rule, eliminate, enough=local_below)
+    s.trace[-1] |= {"seconds": time.time() - at, "tokens": 0}
+    if 0 < s.rows <= local_below:
+        return rest(s, 0)
+    if TemplateProfile.of(t).local_is_exact or not s.rows:
         return Solution(t, s, True)
-    freq = label_frequency(s.vertices)
-    rules = schedule(generate(t, every_start), policy, freq, t)
-    for r in rules if max_rules is None else rules[:max_rules]:
-        before = s.counts()
-        if not before[1] or (deadline_s is not None and time.time() - began > deadline_s) or (switch_below is not None and before[1] < switch_below):
+    freq = label_frequency(s)
+    rules = schedule(generate(t, starts == "every", freq, extra), policy, freq, t)
+    for k, r in enumerate(rules[:max_rules]):
+        if not s.rows or (switch_below is not None and s.rows < switch_below):
+            break
+        if deadline_s is not None and time.time() - began > deadline_s:
+            early = True
             break
         at = time.time()
-        s = walk_check(s, t, r, how, freq, buckets)
-        now = s.counts()
-        s.trace.append({"stage": r.kind, "rule": f"{r.start}:{sorted(r.edges)}", "rounds": 1, "v": now[0], "e": now[1], "messages": 0, "seconds": time.time() - at})
-        if now != before:
-            s = neighbourhood_fixpoint(s, t, rule, eliminate)
-            s.trace[-1]["seconds"] = time.time() - at
-    early = max_rules is not None or (deadline_s is not None and time.time() - began > deadline_s)
+        hubs, seen = hubs_of(s) if hub_degree is None else hubs_of(s, hub_degree, 0), {}
+        if starts == "all":
+            s, took = rule_check(s, r, freq, buckets, hubs, seen)
+        else:
+            safe = r.kind != "cover" and len({t.labels[q] for q in r.roles}) >= len(r.roles) - (r.kind == "path")
+            s, took = walk_check(s, r, how if how != "issuer" or safe else "live", freq, buckets, hubs)
+        s.trace.append({"stage": r.kind, "rule": f"{r.start}:{sorted(r.edges)}", "rounds": 1, "v": took["alive"], "e": s.rows, "messages": seen.get("tokens", 0), "tokens": seen.get("tokens", 0), "seconds": time.time() - at})
+        if took["moved"]:
+            at = time.time()
+            s = neighbourhood_fixpoint(s, t, rule, eliminate, enough=local_below)
+            s.trace[-1] |= {"seconds": time.time() - at, "tokens": 0}
+        if 0 < s.rows <= local_below:
+            return rest(s, k + 1, tuple(x.signature(t) for x in rules[: k + 1]))
     if edge_scope == "roles" or early:
         return Solution(t, s, False)
-    at = time.time()
-    s = confirm(s, t, freq)
-    now = s.counts()
-    s.trace.append({"stage": "confirm", "rule": "full cover", "rounds": 1, "v": now[0], "e": now[1], "messages": 0, "seconds": time.time() - at})
+    at, seen = time.time(), {}
+    s = confirm(s, freq, buckets, hubs_of(s) if hub_degree is None else hubs_of(s, hub_degree, 0), seen)
+    s.trace.append({"stage": "confirm", "rule": "full cover", "rounds": 1, "v": seen.get("alive", 0), "e": s.rows, "messages": seen.get("tokens", 0), "tokens": seen.get("tokens", 0), "seconds": time.time() - at})
     return Solution(t, s, True)
 
 
-def has_match(g: LabeledGraph, t: Template) -> bool:
-    return not sieve(g, t).state.vertices.isEmpty()
+def has_match(g: LabeledGraph | None, t: Template, *, local_below: int = LOCAL_EDGES, parts: int = 64, state: State | None = None) -> bool:
+    """Whether there is any match, without reducing to all of them: after the neighbourhood checks, walks start from a growing share of the sources
+    and end with the first that completes."""
+    s = init_candidates(g, t) if state is None else State(t, state.edges, state.rows, state.alone, [], borrowed=True)
+    if t.n == 1:
+        return not s.masks.isEmpty()
+    if s.rows > local_below:
+        s = neighbourhood_fixpoint(s, t, enough=local_below)
+    if not s.rows:
+        return False
+    if TemplateProfile.of(t).local_is_exact and s.rows > local_below:
+        return True
+    if s.rows <= local_below:
+        return local.has_match_here(s)
+    found, done = Solution(t, s, False), 0
+    while done < parts:
+        upto = min(parts, max(1, done * 4))
+        if not _walked(found, lambda c, a=done, b=upto: F.pmod(F.xxhash64(c), F.lit(parts)).between(a, b - 1)).isEmpty():
+            return True
+        done = upto
+    return False
 
 
 def _plan(s: Solution, order=(), keep=()) -> WalkPlan:
-    freq = label_frequency(s.state.vertices)
-    t = s.template
+    t, freq = s.template, s.frequency
     return WalkPlan(t, t.edges, min(range(t.n), key=lambda q: (freq.get(t.labels[q], 0), q)), freq, order, keep)
 
 
-def enumerate_matches(s: Solution, distinct_subgraphs: bool = False, induced_in: DataFrame | None = None) -> DataFrame:
-    """One row ``(r0, r1, ...)`` per embedding, or per subgraph; ``induced_in``: edges of which a match may have no others among its vertices."""
+def _walked(s: Solution, sources=None, order=()) -> DataFrame:
+    """All positions of all completed walks over the whole template."""
+    if s.template.n == 1:
+        tokens = begin(s.state, _plan(s))
+        return tokens if sources is None else tokens.filter(sources("p0"))
+    tokens = None
+    for move in _plan(s, order).hops:
+        tokens = hop(tokens, s.state, move, sources=sources)
+    return tokens
+
+
+def enumerate_matches(s: Solution, distinct_subgraphs: bool = False, induced_in: DataFrame | None = None, bucket: tuple[int, int] | None = None) -> DataFrame:
+    """One row ``(r0, r1, ...)`` per embedding, or per subgraph; ``induced_in``: edges of which a match may have no others among its vertices.
+
+    ``bucket`` (b, of): only walks from that share of the sources, so that a long enumeration can be done and written in parts.
+    """
     t = s.template
-    plan = _plan(s, t.symmetry_order if distinct_subgraphs else ())
-    tokens = begin(s.state, plan)
-    for step in plan.steps:
-        tokens = extend(tokens, s.state.edges, step)
-    out = tokens.select(*[F.col(f"p{q}").alias(f"r{q}") for q in range(t.n)])
+    share = None if bucket is None else (lambda c: F.pmod(F.xxhash64(c), F.lit(bucket[1])) == bucket[0])
+    out = _walked(s, share, t.symmetry_order if distinct_subgraphs else ()).select(*[F.col(f"p{q}").alias(f"r{q}") for q in range(t.n)])
     if induced_in is not None:
         for a in range(t.n):
             for b in range(a + 1, t.n):
@@ -106,26 +175,37 @@ def enumerate_matches(s: Solution, distinct_subgraphs: bool = False, induced_in:
     return out
 
 
-def count_matches(s: Solution, unit: str = "embeddings") -> DataFrame:
-    """One row ``(n)``. Tokens carry how many walks they stand for, so matches are counted without being listed."""
+def count_matches(s: Solution, unit: str = "embeddings", buckets: int = 1) -> DataFrame:
+    """One row ``(n)``. Tokens carry how many walks they stand for, so matches are counted without being listed; ``buckets`` parts the sources.
+
+    Counts are kept in 38 digits; a total that is no 64-bit integer raises an overflow error.
+    """
     t = s.template
+    if t.n == 1:
+        return begin(s.state, _plan(s)).agg(F.count("*").alias("n"))
     plan = _plan(s, t.symmetry_order if unit == "subgraphs" else ())
-    tokens = begin(s.state, plan).withColumn("n", F.lit(1).cast("decimal(38,0)"))
-    for step in plan.steps:
-        wide = extend(tokens, s.state.edges, step)
-        tokens = wide if step.chord else wide.groupBy(*[f"p{q}" for q in step.live]).agg(F.sum("n").cast("decimal(38,0)").alias("n"))
-    return tokens.agg(F.coalesce(F.sum("n"), F.lit(0)).cast("long").alias("n"))
+    parts = []
+    for b in range(buckets):
+        tokens = None
+        for move in plan.hops:
+            if tokens is None:
+                share = None if buckets == 1 else (lambda c, b=b: F.pmod(F.xxhash64(c), F.lit(buckets)) == b)
+                wide = hop(None, s.state, move, sources=share).withColumn("n", F.lit(1).cast("decimal(38,0)"))
+            else:
+                wide = hop(tokens, s.state, move)
+            step, chords = move
+            live = (chords[-1] if chords else step).live
+            tokens = wide.groupBy(*[f"p{q}" for q in live]).agg(F.sum("n").cast("decimal(38,0)").alias("n")) if move != plan.hops[-1] else wide
+        parts.append(tokens.agg(F.sum("n").cast("decimal(38,0)").alias("n")))
+    return reduce(DataFrame.unionByName, parts).agg(F.coalesce(F.sum("n"), F.lit(0)).cast("long").alias("n"))
 
 
 def estimate_matches(s: Solution, fraction: float = 0.25, seed: int = 1, buckets: int = 16) -> dict:
     """Embeddings estimated from a hashed share of the start vertices, with a standard error from the buckets' spread."""
-    plan = _plan(s)
-    start = f"p{plan.start}"
-    draw = F.pmod(F.xxhash64(start, F.lit(seed)), F.lit(1 << 20))
-    tokens = begin(s.state, plan).filter(draw < int(fraction * (1 << 20))).withColumn("bucket", F.pmod(F.xxhash64(start, F.lit(seed + 1)), F.lit(buckets)))
-    for step in plan.steps:
-        tokens = extend(tokens, s.state.edges, step)
-    n = {r[0]: r[1] for r in tokens.groupBy("bucket").count().collect()}
+    draw = lambda c: F.pmod(F.xxhash64(c, F.lit(seed)), F.lit(1 << 20)) < int(fraction * (1 << 20))
+    tokens = _walked(s, draw)
+    bucket = F.pmod(F.xxhash64(f"p{_plan(s).start}", F.lit(seed + 1)), F.lit(buckets)).alias("bucket")
+    n = {r[0]: r[1] for r in tokens.groupBy(bucket).count().collect()}
     each = [n.get(b, 0) for b in range(buckets)]
     mean = sum(each) / buckets
     spread = (sum((x - mean) ** 2 for x in each) / max(1, buckets - 1) * buckets) ** 0.5
@@ -143,3 +223,6 @@ def centrality(s: Solution, on: str = "vertex", top: int | None = None) -> DataF
         keys = ["vid"] if on == "vertex" else ["vid", "role"]
     out = m.select(F.explode(items).alias("x")).select("x.*").groupBy(*keys).agg(F.count("*").alias("n"))
     return out.orderBy(F.desc("n"), *keys).limit(top) if top else out
+
+
+__all__ = ["LOCAL_EDGES", "Solution", "centrality", "count_matches", "enumerate_matches", "estimate_matches", "extend", "has_match", "label_frequency", "sieve"]

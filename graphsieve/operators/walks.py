@@ -1,4 +1,9 @@
-"""Walk checks with folded tokens, and the confirmation of roles and edges by walking back."""
+"""Walk checks with folded tokens, and the confirmation of roles and edges by walking back.
+
+A token is a row with a column for each position that is still read. Its first hop is a filter of the edges; every other one is a join,
+the tests of chords, and a distinct over the live positions. Vertices of very many edges (hubs) get a salt on both sides of
+the join, so that a hub's edges are spread over tasks, and the distinct that follows has another key than the join.
+"""
 
 from __future__ import annotations
 
@@ -7,113 +12,191 @@ from functools import reduce
 from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
-from graphsieve.functions.storage import materialize
-from graphsieve.operators.reduce import State, has, refresh
+from graphsieve.functions.storage import discard, written
+from graphsieve.operators.reduce import State, apply_masks, has, plays
 from graphsieve.plans.rules import Rule, Step, WalkPlan
 from graphsieve.plans.template import Template
 
+#: A hub has this many edges, and so many salts; a state of fewer edges than HUB_FROM is not searched for hubs.
+HUB_DEGREE, HUB_SALTS, HUB_FROM = 500_000, 64, 20_000_000
+
 
 def _p(q: int) -> str:
     return f"p{q}"
 
 
+def hubs_of(state: State, degree: int = HUB_DEGREE, least: int = HUB_FROM) -> DataFrame | None:
+    """``(hub)``: vertices of at least ``degree`` edges, or none. There are at most rows / degree of them, so they can be broadcast."""
+    degree = max(degree, state.rows // 10_000)
+    if state.rows < least:
+        return None
+    found, seen = written(state.edges.groupBy("src").agg(F.count("*").alias("_n")).filter(F.col("_n") >= degree).select(F.col("src").alias("hub")), "hubs")
+    return found if seen["rows"] else None
+
+
 def begin(state: State, plan: WalkPlan) -> DataFrame:
-    return state.vertices.filter(has("mask", plan.start)).select(F.col("vid").alias(_p(plan.start)))
+    """Tokens at the vertices that may play the first role."""
+    return state.masks.filter(has("mask", plan.start)).select(F.col("vid").alias(_p(plan.start)))
 
 
-def extend(tokens: DataFrame, edges: DataFrame, step: Step) -> DataFrame:
+def extend(tokens: DataFrame, edges: DataFrame, step: Step, t: Template, hubs: DataFrame | None = None, salts: int = HUB_SALTS) -> DataFrame:
     """Tokens after a step, all positions kept: a join to the active edges, or (chord) a semi-join on both ends."""
+    e = edges.filter(plays(t, step.at, step.to)).select(F.col("src").alias(_p(step.at)), F.col("dst").alias(_p(step.to)))
     if step.chord:
-        e = edges.filter(has("smask", step.at) & has("dmask", step.to)).select(F.col("src").alias(_p(step.at)), F.col("dst").alias(_p(step.to)))
         return tokens.join(e, [_p(step.at), _p(step.to)], "left_semi")
-    e = edges.filter(has("smask", step.at) & has("dmask", step.to)).select(F.col("src").alias(_p(step.at)), F.col("dst").alias(_p(step.to)))
-    out = tokens.join(e, _p(step.at))
+    if hubs is None:
+        out = tokens.join(e, _p(step.at))
+    else:  # at most 10,000 hubs, see hubs_of
+        h = F.broadcast(hubs.withColumnRenamed("hub", _p(step.at)).withColumn("_hub", F.lit(True)))
+        e = e.join(h, _p(step.at), "left").withColumn("_salt", F.when(F.col("_hub"), F.pmod(F.xxhash64(_p(step.to)), F.lit(salts)).cast("int")).otherwise(F.lit(0))).drop("_hub")
+        all_salts = F.sequence(F.lit(0), F.lit(salts - 1))
+        tokens = tokens.join(h, _p(step.at), "left").withColumn("_salt", F.explode(F.when(F.col("_hub"), all_salts).otherwise(F.array(F.lit(0))))).drop("_hub")
+        out = tokens.join(e, [_p(step.at), "_salt"]).drop("_salt")
+    return _tested(out, step)
+
+
+def _tested(tokens: DataFrame, step: Step) -> DataFrame:
     tests = [F.col(_p(step.to)) != F.col(_p(x)) for x in step.differs] + [F.col(_p(i)) < F.col(_p(j)) for i, j in step.below]
-    return out.filter(reduce(lambda a, b: a & b, tests)) if tests else out
+    return tokens.filter(reduce(lambda a, b: a & b, tests)) if tests else tokens
+
+
+def hop(tokens: DataFrame | None, state: State, move: tuple[Step, tuple[Step, ...]], hubs: DataFrame | None = None, sources=None) -> DataFrame:
+    """One extension and its chords. Without tokens it is the first hop: the edges themselves. ``sources`` filters its start."""
+    step, chords = move
+    t = state.template
+    if tokens is None:
+        out = _tested(state.edges.filter(plays(t, step.at, step.to)).select(F.col("src").alias(_p(step.at)), F.col("dst").alias(_p(step.to))), step)
+        out = out if sources is None else out.filter(sources(_p(step.at)))
+    else:
+        out = extend(tokens, state.edges, step, t, hubs)
+    for c in chords:
+        out = extend(out, state.edges, c, t)
+    return out
 
 
-def fold(tokens: DataFrame, step: Step, keep: tuple[int, ...], how: str) -> DataFrame:
-    """One copy of tokens that are alike in all that is read later."""
+def fold(tokens: DataFrame, live: tuple[int, ...], how: str = "live") -> DataFrame:
+    """One copy of tokens that are alike in all that is read later; with no folding dead positions stay."""
     if how == "none":
         return tokens
-    cols = sorted({*step.live, *keep})
-    return tokens.select(*map(_p, cols)).distinct() if cols else tokens.select(F.lit(1).alias("some")).distinct()
+    return tokens.select(*map(_p, live)).distinct() if live else tokens.select(F.lit(1).alias("some")).distinct()
+
+
+def _shares(buckets: int):
+    """Filters that part the sources, one pass each."""
+    if buckets <= 1:
+        return [None]
+    return [lambda c, b=b: F.pmod(F.xxhash64(c), F.lit(buckets)) == b for b in range(buckets)]
+
 
+def rule_plan(t: Template, rule: Rule, how: str = "live", frequency: dict | None = None) -> WalkPlan:
+    """The walk of a rule from its start. ``issuer``: tokens that carry their start and last position and no more, which needs a cycle or path
+    whose roles (but for a path's ends) have different labels, walked in order; refused elsewhere."""
+    if how not in ("live", "none", "issuer"):
+        raise ValueError("how is live, none or issuer")
+    sequence = None
+    if how == "issuer":
+        if rule.kind == "cover" or len({t.labels[q] for q in rule.roles}) < len(rule.roles) - (rule.kind == "path"):
+            raise ValueError("tokens that carry only their issuer are unsafe for this rule")
+        sequence = rule.sequence()
+    return WalkPlan(t, rule.edges, rule.start, frequency, keep=(rule.start,), sequence=sequence)
 
-def walk_sources(state: State, t: Template, rule: Rule, how: str = "live", frequency: dict | None = None, buckets: int = 1) -> DataFrame:
+
+def walk_sources(state: State, rule: Rule, how: str = "live", frequency: dict | None = None, buckets: int = 1, hubs: DataFrame | None = None, seen: list | None = None) -> DataFrame:
     """``(vid)``: vertices from which the rule's walk completes in the role it starts from.
 
-    ``how``: "live" folds on live positions, "none" not at all; "issuer" keeps only the start and the last position, and is refused where
-    that is unsafe. ``buckets`` walks the sources in so many passes, which divides the tokens in flight.
+    ``buckets`` walks the sources in so many passes, which divides the tokens in flight; each pass is written before the next begins.
+    ``seen``: a list that gets the tokens after every hop (the hops are then written, to be counted).
     """
-    if how == "issuer" and (rule.kind == "cover" or len({t.labels[q] for q in rule.roles}) < len(rule.roles) - (rule.kind == "path")):
-        raise ValueError("tokens that carry only their issuer are unsafe for this rule")
-    plan = WalkPlan(t, rule.edges, rule.start, frequency, keep=(rule.start,))
+    plan = rule_plan(state.template, rule, how, frequency)
     found = []
-    for b in range(buckets):
-        tokens = begin(state, plan)
-        if buckets > 1:
-            tokens = tokens.filter(F.pmod(F.xxhash64(_p(rule.start)), F.lit(buckets)) == b)
-        for step in plan.steps:
-            tokens = fold(extend(tokens, state.edges, step), step, (rule.start,), "live" if how == "issuer" else how)
-        found.append(tokens.select(F.col(_p(rule.start)).alias("vid")).distinct())
+    for share in _shares(buckets):
+        tokens = None
+        for k, move in enumerate(plan.hops):
+            live = tuple(sorted({*(move[1][-1] if move[1] else move[0]).live, rule.start}))
+            wide = hop(tokens, state, move, hubs, share)
+            tokens = fold(wide, live, how)
+            if seen is not None:
+                tokens, n = written(tokens, "tokens")
+                seen.append({"hop": k + 1, "tokens": n["rows"]})
+        out = tokens.select(F.col(_p(rule.start)).alias("vid")).distinct()
+        found.append(out if buckets == 1 else written(out, "sources")[0])
     return reduce(DataFrame.unionByName, found)
 
 
-def walk_check(state: State, t: Template, rule: Rule, how: str = "live", frequency: dict | None = None, buckets: int = 1) -> State:
+def walk_check(state: State, rule: Rule, how: str = "live", frequency: dict | None = None, buckets: int = 1, hubs: DataFrame | None = None) -> tuple[State, dict]:
     """Vertices without a completed walk lose the role that the rule starts from."""
-    good = materialize(walk_sources(state, t, rule, how, frequency, buckets), "sources")
-    kept = state.vertices.join(good.withColumn("_good", F.lit(True)), "vid", "left")
-    bit = F.lit(1 << rule.start)
-    masks = kept.select("vid", F.when(F.col("_good").isNull(), F.col("mask").bitwiseAND(F.bitwise_not(bit.cast("long")))).otherwise(F.col("mask")).alias("new"))
-    return refresh(state, masks, t)
-
-
-def walk_counts(state: State, t: Template, rule: Rule, how: str = "live", frequency: dict | None = None) -> list[dict]:
-    """Tokens after every hop."""
-    plan = WalkPlan(t, rule.edges, rule.start, frequency, keep=(rule.start,))
-    tokens, out = begin(state, plan), []
-    for k, step in enumerate(plan.steps):
-        tokens = fold(extend(tokens, state.edges, step), step, (rule.start,), how)
-        out.append({"hop": k + 1, "tokens": tokens.count()})
-    return out
+    good = walk_sources(state, rule, how, frequency, buckets, hubs).withColumn("_good", F.lit(True))
+    gone = F.bitwise_not(F.lit(1 << rule.start).cast("long"))
+    masks = state.masks.join(good, "vid", "left").select("vid", "mask", F.when(F.col("_good"), F.col("mask")).otherwise(F.col("mask").bitwiseAND(gone)).alias("new"))
+    return apply_masks(state, masks)
 
 
-def confirmed_pairs(state: State, t: Template, frequency: dict | None = None) -> DataFrame:
-    """``(a, b, u, v)``: template edge a-b is played by data edge u-v in at least one match.
+def confirmed_pairs(state: State, edges, frequency: dict | None = None, buckets: int = 1, hubs: DataFrame | None = None, seen: dict | None = None) -> DataFrame:
+    """``(a, b, u, v)``: of the given template edges, a-b is played by data edge u-v in at least one walk over all of them.
 
-    Forward, a hop's table has one row for every combination of live positions. Backward, rows that a kept class of the next table
-    stands for are kept, from the expansion before it was folded, so no prefix of a completed walk is lost.
+    Forward, each hop's expansion is written once; the next hop reads it folded. Backward, the rows of an expansion are kept that a kept
+    class of the next one stands for. They come from before the fold, so no prefix of a completed walk is lost.
     """
-    start = min(range(t.n), key=lambda q: ((frequency or {}).get(t.labels[q], 0), q))
-    plan = WalkPlan(t, t.edges, start, frequency)
-    first = begin(state, plan)
-    tables = [materialize(first, "walk-0")]
-    for k, step in enumerate(plan.steps):
-        tables.append(materialize(fold(extend(tables[-1], state.edges, step), step, (), "live"), f"walk-{k + 1}"))
-    kept, pairs = tables[-1], []
-    for k in range(len(plan.steps) - 1, -1, -1):
-        step = plan.steps[k]
-        wide = extend(tables[k], state.edges, step)
-        cols = list(map(_p, step.live))
-        if cols:
-            wide = wide.join(kept.select(*cols), cols, "left_semi")
-        elif kept.isEmpty():
-            wide = wide.limit(0)
-        wide = materialize(wide, f"back-{k}")
-        pairs.append(wide.select(F.lit(step.at).alias("a"), F.lit(step.to).alias("b"), F.col(_p(step.at)).alias("u"), F.col(_p(step.to)).alias("v")).distinct())
-        kept = wide.select(*tables[k].columns).distinct()
+    t, freq = state.template, frequency or {}
+    roles = {x for e in edges for x in e}
+    plan = WalkPlan(t, edges, min(roles, key=lambda q: (freq.get(t.labels[q], 0), q)), freq)
+    lives = [(m[1][-1] if m[1] else m[0]).live for m in plan.hops]
+    pairs, counted = [], 0
+    for share in _shares(buckets):
+        wides, tokens = [], None
+        for move, live in zip(plan.hops, lives):
+            wide, n = written(hop(tokens, state, move, hubs, share), "walk")
+            counted += n["rows"]
+            wides.append(wide)
+            tokens = fold(wide, live)
+        kept = wides[-1]
+        for k in range(len(plan.hops) - 1, -1, -1):
+            step, chords = plan.hops[k]
+            if k < len(plan.hops) - 1:
+                if lives[k]:
+                    kept, _ = written(wides[k].join(kept.select(*map(_p, lives[k])).distinct(), [*map(_p, lives[k])], "left_semi"), "back")
+                elif kept.isEmpty():
+                    kept = wides[k].limit(0)
+                else:
+                    kept = wides[k]
+            for s in (step, *chords):
+                pairs.append(kept.select(F.lit(s.at).alias("a"), F.lit(s.to).alias("b"), F.col(_p(s.at)).alias("u"), F.col(_p(s.to)).alias("v")).distinct())
+    if seen is not None:
+        seen["tokens"] = seen.get("tokens", 0) + counted
     return reduce(DataFrame.unionByName, pairs)
 
 
-def confirm(state: State, t: Template, frequency: dict | None = None) -> State:
+def _roles(pairs: DataFrame) -> DataFrame:
+    """``(vid, good)``: roles that a vertex plays in some pair."""
+    both = pairs.select(F.explode(F.array(F.struct(F.col("u").alias("vid"), F.col("a").alias("q")), F.struct(F.col("v").alias("vid"), F.col("b").alias("q")))).alias("x"))
+    return both.select("x.*").groupBy("vid").agg(F.bit_or(F.expr("shiftleft(1L, q)")).alias("good"))
+
+
+def rule_check(state: State, rule: Rule, frequency: dict | None = None, buckets: int = 1, hubs: DataFrame | None = None, seen: dict | None = None) -> tuple[State, dict]:
+    """A walk of the rule, forward and back, settles all its roles at once: as if walked from every role in turn."""
+    pairs, _ = written(confirmed_pairs(state, rule.edges, frequency, buckets, hubs, seen), "pairs")
+    inside = sum(1 << q for q in rule.roles)
+    kept = F.col("mask").bitwiseAND(F.bitwise_not(F.lit(inside).cast("long"))).bitwiseOR(F.col("mask").bitwiseAND(F.coalesce("good", F.lit(0).cast("long"))))
+    out = apply_masks(state, state.masks.join(_roles(pairs), "vid", "left").select("vid", "mask", kept.alias("new")))
+    discard(pairs)
+    return out
+
+
+def confirm(state: State, frequency: dict | None = None, buckets: int = 1, hubs: DataFrame | None = None, seen: dict | None = None) -> State:
     """The exact answer: roles and edges that take part in a match."""
-    if t.n == 1:
+    t = state.template
+    if t.n == 1 or not state.rows:
         return state
-    pairs = materialize(confirmed_pairs(state, t, frequency), "pairs")
-    roles = pairs.select(F.col("u").alias("vid"), F.col("a").alias("q")).unionByName(pairs.select(F.col("v").alias("vid"), F.col("b").alias("q")))
-    masks = materialize(roles.groupBy("vid").agg(F.bit_or(F.expr("shiftleft(1L, q)")).alias("mask")), "roles")
-    v = state.vertices.select("vid", "label").join(masks, "vid")
-    e = pairs.select(F.col("u").alias("src"), F.col("v").alias("dst")).unionByName(pairs.select(F.col("v").alias("src"), F.col("u").alias("dst"))).distinct()
-    e = e.join(masks.select(F.col("vid").alias("src"), F.col("mask").alias("smask")), "src").join(masks.select(F.col("vid").alias("dst"), F.col("mask").alias("dmask")), "dst").select("src", "dst", "smask", "dmask")
-    return State(materialize(v, "confirmed-v"), materialize(e, "confirmed-e"), state.trace)
+    pairs, _ = written(confirmed_pairs(state, t.edges, frequency, buckets, hubs, seen), "pairs")
+    masks, alive = written(_roles(pairs), "roles")
+    e = pairs.select("u", "v").unionByName(pairs.select(F.col("v").alias("u"), F.col("u").alias("v"))).distinct().select(F.col("u").alias("src"), F.col("v").alias("dst"))
+    e = e.join(masks.select(F.col("vid").alias("src"), F.col("good").alias("smask")), "src").join(masks.select(F.col("vid").alias("dst"), F.col("good").alias("dmask")), "dst")
+    if t.demands:
+        e = e.join(state.edges.select("src", "dst", "allow"), ["src", "dst"])
+    e, kept = written(e.select("src", "dst", "smask", "dmask", *(["allow"] if t.demands else [])), "confirmed")
+    discard(pairs)
+    if not state.borrowed:
+        discard(state.edges)
+    if seen is not None:
+        seen["alive"] = alive["rows"]
+    return State(t, e, kept["rows"], None, state.trace)

@@ -25,12 +25,30 @@ class Rule:
         return tuple(sorted({x for e in self.edges for x in e}))
 
     def signature(self, t: Template) -> str:
-        return f"{self.kind}:{self.start}:{sorted(self.edges)}:{[t.labels[q] for q in self.roles]}"
-
-
-def cycle_rules(profile: TemplateProfile, every_start: bool = True, most: int = 64) -> list[Rule]:
-    """One rule for each cycle and start. Of more than ``most`` cycles only the shortest are used: the full cover keeps results exact."""
-    return [Rule("cycle", q, profile.edges_of(c)) for c in profile.cycles[:most] for q in (c if every_start else c[:1])]
+        return f"{self.kind}:{self.start}:{sorted(self.edges)}:{[t.labels[q] for q in self.roles]}:{[d for d in t.demands if tuple(sorted(d[:2])) in self.edges]}"
+
+    def sequence(self) -> tuple[int, ...] | None:
+        """Roles of a cycle or path in the order of a walk from ``start``; none for covers."""
+        if self.kind == "cover":
+            return None
+        near: dict[int, list[int]] = {}
+        for a, b in sorted(self.edges):
+            near.setdefault(a, []).append(b)
+            near.setdefault(b, []).append(a)
+        out = [self.start]
+        while more := [x for x in near[out[-1]] if x not in out]:
+            out.append(more[0])
+        return tuple(out)
+
+
+def cycle_rules(profile: TemplateProfile, every_start: bool = True, frequency: dict | None = None) -> list[Rule]:
+    """A rule for each cycle: from every role in the order of label frequency, or from that of the rarest label alone."""
+    labels, freq = profile.template.labels, frequency or {}
+    out = []
+    for c in profile.cycles:
+        starts = sorted(c, key=lambda q: (freq.get(labels[q], 0), q))
+        out += [Rule("cycle", q, profile.edges_of(c)) for q in (starts if every_start else starts[:1])]
+    return out
 
 
 def _shortest_path(t: Template, a: int, b: int, least: int) -> tuple | None:
@@ -103,16 +121,36 @@ def full_cover(t: Template) -> Rule:
     return Rule("cover", 0, frozenset(t.edges))
 
 
-def generate(t: Template, every_start: bool = True) -> list[Rule]:
-    """Cycle, path and cover rules of a template; none where neighbourhood checks are exact. The full cover is not among them."""
+def extra_covers(profile: TemplateProfile, most: int) -> list[frozenset]:
+    """Optional further covers: unions of two or three cycles and paths that share a role, the smallest first, ``most`` at most.
+
+    Any such union is a part of the template, so the rule is sound; only the full cover is needed for exactness.
+    """
+    parts = list(dict.fromkeys([*(profile.edges_of(c) for c in profile.cycles), *(r.edges for r in path_rules(profile))]))
+    roles = lambda s: {x for e in s for x in e}
+    known, out = {*parts, *cycle_covers(profile), *path_covers(profile), frozenset(profile.template.edges)}, []
+    for k in (2, 3):
+        for group in combinations(parts, k):
+            s = frozenset.union(*group)
+            if s not in known and all(any(roles(a) & roles(b) for b in group if b is not a) for a in group):
+                known.add(s)
+                out.append(s)
+    return sorted(out, key=lambda s: (len(s), sorted(s)))[:most]
+
+
+def generate(t: Template, every_start: bool = True, frequency: dict | None = None, extra: int = 0) -> list[Rule]:
+    """Cycle, path and cover rules of a template; none where neighbourhood checks are exact. The full cover is not among them.
+
+    ``extra``: so many optional covers besides the heuristic ones.
+    """
     profile = TemplateProfile.of(t)
     if profile.local_is_exact:
         return []
     covers = []
-    for s in [*cycle_covers(profile), *path_covers(profile)]:
+    for s in [*cycle_covers(profile), *path_covers(profile), *extra_covers(profile, extra)]:
         starts = sorted({x for e in s for x in e} & (profile.repeated or {min(min(e) for e in s)})) or [min(min(e) for e in s)]
-        covers += [Rule("cover", q, s) for q in starts if len(s) < len(t.edges)]
-    return [*cycle_rules(profile, every_start), *path_rules(profile), *covers]
+        covers += [Rule("cover", q, s) for q in (starts if every_start else starts[:1]) if len(s) < len(t.edges)]
+    return [*cycle_rules(profile, every_start, frequency), *path_rules(profile), *covers]
 
 
 def schedule(rules: list[Rule], policy: str = "type_then_length", frequency: dict | None = None, t: Template | None = None) -> list[Rule]:
@@ -142,12 +180,13 @@ class WalkPlan:
     """Order of steps for a set of template edges, with the roles that each step must keep.
 
     Edges are walked so that bound roles are tested as soon as they can be; the next role is the one with most bound neighbours, then the
-    rarest label. A role is live until its last use: as a place to extend from, as an end of a chord, for a test against an equal label, or of order.
+    rarest label; or roles come in a given ``sequence``. A role is live until its last use: as a place to extend from, as an end of a chord, for a test against an equal label, or of order.
     """
 
-    def __init__(self, t: Template, edges, start: int, frequency: dict | None = None, order: list[tuple[int, int]] = (), keep: tuple[int, ...] = ()):
+    def __init__(self, t: Template, edges, start: int, frequency: dict | None = None, order: list[tuple[int, int]] = (), keep: tuple[int, ...] = (), sequence: tuple[int, ...] | None = None):
         freq = frequency or {}
         self.start, bound, left, moves = start, [start], set(edges), []
+        place = {q: k for k, q in enumerate(sequence or ())}
         while left:
             reach = {}
             for a, b in left:
@@ -156,8 +195,8 @@ class WalkPlan:
                         reach.setdefault(y, []).append(x)
             if not reach:
                 raise ValueError("the edges of a rule hang together")
-            to = min(reach, key=lambda y: (-len(reach[y]), freq.get(t.labels[y], 0), y))
-            at, *chords = sorted(reach[to], key=lambda x: (freq.get(t.labels[x], 0), x))
+            to = min(reach, key=lambda y: (place.get(y, 0), -len(reach[y]), freq.get(t.labels[y], 0), y))
+            at, *chords = sorted(reach[to], key=lambda x: (-place.get(x, 0), freq.get(t.labels[x], 0), x))
             same = tuple(x for x in bound if t.labels[x] == t.labels[to])
             tests = tuple((i, j) for i, j in order if to in (i, j) and (i in bound or i == to) and (j in bound or j == to))
             moves.append((at, to, False, same, tests))
@@ -170,3 +209,11 @@ class WalkPlan:
             later = (later | {at} | ({to} if chord else set()) | set(same) | {x for p in tests for x in p}) - (set() if chord else {to})
         self.steps, self.roles = steps[::-1], bound
         self.first_live = tuple(sorted(later | {start}))
+        #: (extension, its chords): what one join and the tests after it do
+        self.hops: list[tuple[Step, tuple[Step, ...]]] = []
+        for s in self.steps:
+            if s.chord:
+                first, chords = self.hops[-1]
+                self.hops[-1] = (first, (*chords, s))
+            else:
+                self.hops.append((s, ()))

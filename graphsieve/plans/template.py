@@ -13,11 +13,16 @@ MAX_ROLES = 62
 
 @dataclass(frozen=True)
 class Template:
-    """Roles 0..n-1 with labels, and undirected edges between them. ``mandatory`` edges survive every relaxation."""
+    """Roles 0..n-1 with labels, and edges between them. ``mandatory`` edges survive every relaxation.
+
+    ``demands`` names what a data edge must be beyond its ends: entries (a, b, label or None, directed), of which a directed one wants the
+    data edge to run from the vertex of a to that of b. Edges without an entry take any data edge.
+    """
 
     labels: tuple[str, ...]
     edges: tuple[tuple[int, int], ...]
     mandatory: frozenset = field(default_factory=frozenset)
+    demands: tuple[tuple[int, int, str | None, bool], ...] = ()
 
     def __post_init__(self):
         edges = tuple(sorted({(min(a, b), max(a, b)) for a, b in self.edges}))
@@ -28,21 +33,27 @@ class Template:
             raise ValueError(f"a template has 1 to {MAX_ROLES} roles")
         if any(a == b or not 0 <= a < b < self.n for a, b in edges):
             raise ValueError("an edge joins two different roles of the template")
+        object.__setattr__(self, "demands", tuple(d for d in self.demands if (min(d[:2]), max(d[:2])) in set(edges) and (d[2] is not None or d[3])))
+        if self.demands and len(edges) > 31:
+            raise ValueError("a template with demands on edges has at most 31 edges")
 
     @classmethod
-    def build(cls, labels, edges, mandatory=()) -> Template:
-        out = cls(tuple(labels), tuple(edges), frozenset(mandatory))
+    def build(cls, labels, edges, mandatory=(), demands=()) -> Template:
+        out = cls(tuple(labels), tuple(edges), frozenset(mandatory), tuple(demands))
         if not out.connected:
             raise ValueError("a template is connected; solve components one by one")
         return out
 
     @classmethod
     def parse(cls, text: str) -> Template:
-        """``(a:LabelA)-(b:LabelB)-(c:LabelC), (a)-(c)``: chains of roles; a role's label stands where it is first named."""
-        names, labels, edges = {}, [], []
+        """``(a:LabelA)-(b:LabelB)-(c:LabelC), (a)-(c)``: chains of roles; a role's label stands where it is first named.
+
+        ``(a)-[shipped]-(b)`` wants that label of the edge, ``(a)->(b)`` and ``(a)-[shipped]->(b)`` its direction.
+        """
+        names, labels, edges, demands = {}, [], [], []
         for chain in re.split(r"\s*,\s*(?=\()", text.strip()):
             before = None
-            for name, label in re.findall(r"\(\s*(\w+)\s*(?::\s*([^)]+?)\s*)?\)", chain):
+            for wanted, arrow, name, label in re.findall(r"(?:-(?:\[([^\]]+)\]-)?(>?)\s*)?\(\s*(\w+)\s*(?::\s*([^)]+?)\s*)?\)", chain):
                 if name not in names:
                     if not label:
                         raise ValueError(f"role {name} has no label")
@@ -50,16 +61,19 @@ class Template:
                     labels.append(label)
                 if before is not None:
                     edges.append((before, names[name]))
+                    demands.append((before, names[name], wanted or None, bool(arrow)))
                 before = names[name]
-        return cls.build(labels, edges)
+        return cls.build(labels, edges, demands=demands)
 
     @classmethod
     def from_json(cls, text: str) -> Template:
         d = json.loads(text)
-        return cls.build([r["label"] for r in sorted(d["roles"], key=lambda r: r["id"])], [(e["a"], e["b"]) for e in d["edges"]])
+        demands = [(e["a"], e["b"], e.get("label"), bool(e.get("directed"))) for e in d["edges"]]
+        return cls.build([r["label"] for r in sorted(d["roles"], key=lambda r: r["id"])], [(e["a"], e["b"]) for e in d["edges"]], demands=demands)
 
     def to_json(self) -> str:
-        return json.dumps({"roles": [{"id": k, "label": x} for k, x in enumerate(self.labels)], "edges": [{"a": a, "b": b} for a, b in self.edges]})
+        told = {(min(a, b), max(a, b)): {"a": a, "b": b, "label": x, "directed": way} for a, b, x, way in self.demands}
+        return json.dumps({"roles": [{"id": k, "label": x} for k, x in enumerate(self.labels)], "edges": [told.get(e, {"a": e[0], "b": e[1]}) for e in self.edges]})
 
     @classmethod
     def unlabelled(cls, edges, label: str = "*") -> Template:
@@ -77,6 +91,11 @@ class Template:
     def adjmask(self) -> tuple[int, ...]:
         return tuple(sum(1 << x for x in s) for s in self.adjacent)
 
+    @cached_property
+    def arcs(self) -> dict[tuple[int, int], int]:
+        """Numbers of the template's edges in either direction."""
+        return {x: k for k, x in enumerate(x for a, b in self.edges for x in ((a, b), (b, a)))}
+
     @cached_property
     def by_label(self) -> dict[str, int]:
         out: dict[str, int] = {}
@@ -104,21 +123,21 @@ class Template:
         return len(self.component_of(0)) == self.n
 
     def with_edge(self, a: int, b: int) -> Template:
-        return Template.build(self.labels, [*self.edges, (a, b)], self.mandatory)
+        return Template.build(self.labels, [*self.edges, (a, b)], self.mandatory, self.demands)
 
     def without(self, *edges) -> Template:
         gone = {(min(e), max(e)) for e in edges}
         if gone & self.mandatory:
             raise ValueError("a mandatory edge stays")
-        return Template.build(self.labels, [e for e in self.edges if e not in gone], self.mandatory)
+        return Template.build(self.labels, [e for e in self.edges if e not in gone], self.mandatory, self.demands)
 
     def relaxations(self, k: int, up_to_isomorphism: bool = False) -> list[Template]:
         """All connected templates with k of the edges that are not mandatory taken away."""
         out, seen = [], set()
         for gone in combinations([e for e in self.edges if e not in self.mandatory], k):
-            t = Template(self.labels, tuple(e for e in self.edges if e not in gone), self.mandatory)
+            t = Template(self.labels, tuple(e for e in self.edges if e not in gone), self.mandatory, self.demands)
             if t.connected:
-                key = t.canonical if up_to_isomorphism else t.edges
+                key = t.canonical if up_to_isomorphism and not t.demands else t.edges
                 if key not in seen:
                     seen.add(key)
                     out.append(t)
@@ -141,6 +160,7 @@ class Template:
     def automorphisms(self) -> list[dict[int, int]]:
         """Permutations of roles that keep labels and edges, found by extending partial ones."""
         edges, out = set(self.edges), []
+        told = {(a, b): (x, way) for a, b, x, way in self.demands} | {(b, a): (x, -way) for a, b, x, way in self.demands}
 
         def extend(m):
             q = len(m)
@@ -148,7 +168,7 @@ class Template:
                 out.append(dict(enumerate(m)))
                 return
             for x in range(self.n):
-                if x not in m and self.labels[x] == self.labels[q] and all(((min(m[p], x), max(m[p], x)) in edges) == ((p, q) in edges) for p in range(q)):
+                if x not in m and self.labels[x] == self.labels[q] and all(((min(m[p], x), max(m[p], x)) in edges) == ((p, q) in edges) and told.get((m[p], x)) == told.get((p, q)) for p in range(q)):
                     extend([*m, x])
 
         extend([])

@@ -2,8 +2,12 @@
 
 from __future__ import annotations
 
+from collections.abc import Iterator
+
+import pandas as pd
 from pyspark.sql import DataFrame, SparkSession
 from pyspark.sql import functions as F
+from pyspark.sql.streaming.state import GroupState, GroupStateTimeout
 
 from graphsieve.functions.storage import new_path
 from graphsieve.operators.reduce import LabeledGraph, State, compatible, role_mask, symmetric
@@ -14,9 +18,9 @@ from graphsieve.plans.template import Template
 SCHEMA = "event_id long, ts timestamp_ntz, user_id long, event_type string, value double, props string"
 
 
-def read_events(spark: SparkSession, path: str) -> DataFrame:
-    """Event files as a stream; ``ts`` becomes a timestamp, which watermarks ask for."""
-    return spark.readStream.schema(SCHEMA).option("maxFilesPerTrigger", 8).parquet(path).withColumn("ts", F.col("ts").cast("timestamp"))
+def read_events(spark: SparkSession, path: str, files: int = 8) -> DataFrame:
+    """Event files as a stream, so many of them a batch; ``ts`` becomes a timestamp, which watermarks ask for."""
+    return spark.readStream.schema(SCHEMA).option("maxFilesPerTrigger", files).parquet(path).withColumn("ts", F.col("ts").cast("timestamp"))
 
 
 def tumbling(events: DataFrame, late: str = "1 hour", size: str = "1 hour") -> DataFrame:
@@ -46,6 +50,40 @@ def clicks_to_purchases(events: DataFrame, late: str = "1 hour") -> DataFrame:
     return c.join(p, F.expr("cu = user_id and ts >= cts and ts <= cts + interval 30 minutes")).select("user_id", "click", "purchase")
 
 
+def following_edges(events: DataFrame) -> DataFrame:
+    """Edges from every event to its user's next one, ``(a, b)``: the last event of a user is state that outlives the micro-batch.
+
+    Events of a user must come in the order of ``(ts, event_id)`` from batch to batch; within one they are sorted.
+    """
+
+    def linked(user: tuple, frames: Iterator[pd.DataFrame], state: GroupState) -> Iterator[pd.DataFrame]:
+        ids = pd.concat(list(frames)).sort_values(["ts", "event_id"])["event_id"].tolist()
+        if state.exists:
+            ids.insert(0, state.get[0])
+        state.update((ids[-1],))
+        yield pd.DataFrame({"a": ids[:-1], "b": ids[1:]}, dtype="int64")
+
+    return events.select("user_id", "ts", "event_id").groupBy("user_id").applyInPandasWithState(linked, "a long, b long", "last long", "append", GroupStateTimeout.NoTimeout)
+
+
+def late_rows(stream: DataFrame, late: str = "1 hour", size: str = "1 hour") -> tuple[DataFrame, dict]:
+    """Tumbling counts under a watermark, and how many rows came and how many were dropped as too late (from the query's progress).
+
+    What is counted as dropped are rows of the partial sums, of which a batch has one for each window and type.
+    """
+    spark = stream.sparkSession
+    where, state = new_path(spark, "stream-out"), new_path(spark, "stream-state")
+    counts = tumbling(stream, late, size)
+    run = counts.writeStream.format("parquet").option("path", where).option("checkpointLocation", state).outputMode("append").trigger(availableNow=True).start()
+    run.awaitTermination()
+    seen = {"rows": 0, "dropped": 0, "batches": 0}
+    for p in run.recentProgress:
+        seen["rows"] += p["numInputRows"]
+        seen["dropped"] += sum(o["numRowsDroppedByWatermark"] for o in p["stateOperators"])
+        seen["batches"] += 1
+    return spark.read.schema(counts.schema).parquet(where), seen
+
+
 def run_to_table(stream: DataFrame, mode: str = "append") -> DataFrame:
     """Run what is there now into files (append) or a memory table (complete), and read the result."""
     spark = stream.sparkSession
@@ -79,7 +117,7 @@ def new_matches(vertices: DataFrame, edges: DataFrame, fresh: DataFrame, t: Temp
         bound = {a, b}
         for step in plan.steps:
             if step.chord or step.to not in bound:
-                tokens = extend(tokens, active, step)
+                tokens = extend(tokens, active, step, t)
                 bound.add(step.to)
             elif (min(step.at, step.to), max(step.at, step.to)) != (a, b):
                 e = active.select(F.col("src").alias(f"p{step.at}"), F.col("dst").alias(f"p{step.to}"))
@@ -112,4 +150,4 @@ def match_stream(batches: list[DataFrame], vertices: DataFrame, t: Template) ->
     return out
 
 
-__all__ = ["LabeledGraph", "State", "clicks_to_purchases", "deduplicated", "match_stream", "new_matches", "read_events", "run_to_table", "sessions", "sliding", "tumbling"]
+__all__ = ["LabeledGraph", "State", "clicks_to_purchases", "deduplicated", "following_edges", "late_rows", "match_stream", "new_matches", "read_events", "run_to_table", "sessions", "sliding", "tumbling"]
