@@ -7,6 +7,7 @@ depth; cells of a table are padded so that columns line up; preformatted text ke
 from __future__ import annotations
 
 import re
+import sys
 from html.parser import HTMLParser
 
 import pyarrow as pa
@@ -15,7 +16,7 @@ from pyspark.sql import functions as F
 
 # Classes of HTML elements.
 VOID = frozenset("area base br col embed hr img input link meta param source track wbr".split())
-HIDDEN = frozenset("script style template noscript head title meta link datalist iframe object audio video canvas svg math param source".split())
+HIDDEN = frozenset("script style template noscript head title meta link datalist iframe object audio video canvas param source defs symbol desc metadata annotation annotation-xml".split())
 BLOCK = frozenset("address article aside blockquote body center dd details dialog dir div dl dt fieldset figcaption figure footer form h1 h2 h3 h4 h5 h6 header hgroup hr html legend li main menu nav ol p pre search section summary table tbody td tfoot th thead tr ul caption optgroup option".split())
 SPACED = frozenset("p h1 h2 h3 h4 h5 h6 blockquote pre ul ol dl table figure hr fieldset".split())
 #: What a start tag closes, and the elements that shield what is open beyond them.
@@ -148,7 +149,11 @@ class _Out:
 
 
 def render(html: str | None) -> str:
-    """All visible text of a page. Null and empty pages give empty text; what is not HTML is text."""
+    """All visible text of a page, that of formulas and drawings included. Null and empty pages give empty text; what is not HTML is text.
+
+    Tables are laid out at any depth: a table in a cell takes a few frames of Python's stack, whose limit is raised to fit.
+    """
+    sys.setrecursionlimit(max(sys.getrecursionlimit(), 1_000_000))
     out = _Out()
     _walk(build(html or ""), out, 0)
     return out.text()
@@ -256,20 +261,24 @@ def _table(table: Node, out: _Out, depth: int) -> None:
     for c in captions:
         for line in _cell(c, depth):
             out.raw(out.prefix + line)
-    cells = [[(_cell(c, depth), min(50, max(1, _number(c.attrs.get("colspan"))))) for c in row] for row in rows]
+    # a span is at most 1000 columns, as browsers have it
+    cells = [[(_cell(c, depth), min(1000, max(1, _number(c.attrs.get("colspan"))))) for c in row] for row in rows]
     widths: dict[int, int] = {}
     for row in cells:
         at = 0
         for lines, span in row:
             if span == 1:
                 widths[at] = max(widths.get(at, 0), *(len(x) for x in lines), 0)
+            else:
+                widths.setdefault(at, 0)
             at += span
     for row in cells:
         height = max((len(lines) for lines, _ in row), default=0)
         for k in range(height):
             parts, at = [], 0
             for lines, span in row:
-                width = sum(widths.get(c, 0) for c in range(at, at + span)) + 2 * (span - 1)
+                own = [widths[c] for c in range(at, at + span) if c in widths]  # columns that no cell starts take no room
+                width = sum(own) + 2 * (len(own) - 1)
                 parts.append((lines[k] if k < len(lines) else "").ljust(width))
                 at += span
             if line := "  ".join(parts).rstrip():
@@ -281,20 +290,10 @@ def _cell(cell: Node, depth: int) -> list[str]:
     inner = _Out()
     holder = Node("#root", {}, None)
     holder.children = cell.children
-    if _tables_above(cell) > 8:  # a table this deep is shown as its text
-        return [" ".join(_plain(holder).split())]
     _walk(holder, inner, 0)
     return [x for x in inner.text().split("\n") if x] or [""]
 
 
-def _tables_above(node: Node) -> int:
-    n = 0
-    while node is not None:
-        n += node.tag == "table"
-        node = node.parent
-    return n
-
-
 def extract_text(pages: DataFrame) -> DataFrame:
     """``pages`` with ``text`` in place of html. Null html gives empty text. A column named text is replaced."""
     keep = [c for c in pages.columns if c not in ("html", "text")]
