@@ -176,8 +176,7 @@ def classify(rows: DataFrame) -> tuple[DataFrame, dict]:
     shapes = materialize(shapes, "pii-shapes").withColumn("salt", F.explode(F.sequence(F.lit(0), F.lit(SALTS - 1))))
     voted = voted.withColumn("salt", F.pmod(F.xxhash64("uid", "start"), F.lit(SALTS)).cast("int")).join(shapes, ["kind", "f_shape", "salt"], "left").drop("salt")
     score = score + F.coalesce("w_shape", F.lit(0.0))
-    # the classifier's word and the labelers' on the span itself
-    logit = F.greatest(F.lit(-30.0), F.least(F.lit(30.0), score)) * 0.5 + F.log(F.greatest("soft", F.lit(1e-9)) / F.greatest(1 - F.col("soft"), F.lit(1e-9))) * 0.5
+    logit = F.greatest(F.lit(-30.0), F.least(F.lit(30.0), score))
     return voted.withColumn("probability", 1 / (1 + F.exp(-logit))), models
 
 
