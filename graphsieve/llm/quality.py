@@ -8,11 +8,12 @@ from operator import eq
 
 import numpy as np
 import pyarrow as pa
-from pyspark.sql import DataFrame
+from pyspark.sql import DataFrame, Window
 from pyspark.sql import functions as F
 from pyspark.sql import types as T
 
-from graphsieve.llm.common import id_crc, worker_kept
+from graphsieve.functions.storage import discard
+from graphsieve.llm.common import id_crc, materialize, worker_kept
 
 BITS = 18
 #: About so many labelled rows are learnt from at most: a share of the hashes of their ids.
@@ -23,18 +24,15 @@ REPEAT = 0  # the feature of a repeated word
 _SPLIT = re.compile(r"(\w*)(.*)", re.S)
 
 
-def _word_codes(word: str) -> tuple[int, ...]:
-    """A white-space word as hashed tokens: its letters in lower case, the marks behind them, its case."""
+def _word_codes(word: str) -> tuple[int, int]:
+    """A white-space word as two hashed tokens: its letters in lower case, and its case with the marks behind it."""
     head, marks = _SPLIT.match(word).groups()
     shape = "upper" if len(head) > 1 and head.isupper() else "title" if head[:1].isupper() else "digits" if head.isdigit() else "lower" if head else "marks"
-    out = [zlib.crc32(head.lower().encode()), zlib.crc32(b"\x01" + shape.encode())]
-    if marks:
-        out.append(zlib.crc32(b"\x02" + marks.encode()))
-    return tuple(out)
+    return zlib.crc32(head.lower().encode()), zlib.crc32(f"\x01{shape}\x02{marks}".encode())
 
 
 class Hasher:
-    """Sparse features of a text: counts of word n-grams (n = 1, 2), each hashed to BITS bits, of Euclidean length 1."""
+    """Sparse features of a text: counts of n-grams (n = 1, 2) of its words and of their styles, each hashed to BITS bits, of Euclidean length 1."""
 
     LIMIT = 400_000
 
@@ -48,9 +46,9 @@ class Hasher:
             codes.clear()
             new = set(words)
         codes.update((w, np.array(_word_codes(w), "<u4").tobytes()) for w in new)
-        h = np.frombuffer(b"".join(map(codes.__getitem__, words)), "<u4")
-        pairs = h[:-1] * np.uint32(2654435761) + h[1:]
-        mixed = np.concatenate([h * np.uint32(2246822519), pairs * np.uint32(3266489917)]) >> np.uint32(32 - BITS)
+        h = np.frombuffer(b"".join(map(codes.__getitem__, words)), "<u4").reshape(-1, 2)
+        pairs = h[:-1] * np.uint32(2654435761) + h[1:]  # a word and the next one; a style and the next one
+        mixed = np.concatenate([(h * np.uint32(2246822519)).ravel(), (pairs * np.uint32(3266489917)).ravel()]) >> np.uint32(32 - BITS)
         again = sum(map(eq, words, words[1:]))  # pairs of a word with itself are one feature, whatever the word
         if again:
             mixed = np.append(mixed, np.full(again, REPEAT, np.uint32))
@@ -83,7 +81,8 @@ class Ftrl:
 def train_quality(docs: DataFrame, labels: DataFrame, max_rows: int = MAX_TRAINING_ROWS, epochs: int = 4, seed: int = 7) -> np.ndarray:
     """Weights learnt from about ``max_rows`` labelled rows at most, whose crc32(doc_id) mod 4 is not 2.
 
-    A share of the hashes of doc_id is taken that makes so many, so the sample is the same on every run. Labels that are null or not 0 or 1 are
+    A share of the hashes of doc_id is taken that makes so many, so the sample is the same on every run. The learner is a task; the driver passes its
+    2 * 2**18 numbers from epoch to epoch. Labels that are null or not 0 or 1 are
     left out; if an id has several labels, the smallest counts. Without labels all weights are 0 and every score 0.5.
     """
     known = labels.filter(F.col("quality").isin(0, 1) & F.col("doc_id").isNotNull() & (id_crc() % 4 != 2)).groupBy("doc_id").agg(F.min("quality").alias("quality"))
@@ -97,16 +96,29 @@ def train_quality(docs: DataFrame, labels: DataFrame, max_rows: int = MAX_TRAINI
             found = [hasher.features(t or "") for t in batch["text"].to_pylist()]
             yield pa.RecordBatch.from_pydict({"doc_id": batch["doc_id"], "quality": batch["quality"].cast(pa.int32()), "index": pa.array([i.tobytes() for i, _ in found], pa.binary()), "value": pa.array([v.astype("<f4").tobytes() for _, v in found], pa.binary())})
 
-    sample = rows.select("doc_id", "quality", "text").mapInArrow(featured, "doc_id long, quality int, index binary, value binary").dropDuplicates(["doc_id"]).collect()
-    sample.sort(key=lambda r: r.doc_id)
+    schema = "doc_id long, quality int, index binary, value binary"
+    featured_rows = rows.select("doc_id", "quality", "text").mapInArrow(featured, schema)
+    sample = materialize(featured_rows.withColumn("_first", F.row_number().over(Window.partitionBy("doc_id").orderBy("index", "value"))).filter("_first = 1").drop("_first"), "quality-sample")
+    n, positive = sample.agg(F.count("*"), F.coalesce(F.sum("quality"), F.lit(0))).first()
+    weigh = {1: 1.0, 0: min(4.0, max(1.0, (positive / max(1, n - positive)) ** 0.5))}
     model = Ftrl()
-    rng = np.random.default_rng(seed)
-    positive = sum(r.quality for r in sample)
-    weigh = {1: 1.0, 0: min(4.0, max(1.0, (positive / max(1, len(sample) - positive)) ** 0.5))}
-    for _ in range(epochs):
-        for k in rng.permutation(len(sample)):
-            r = sample[k]
-            model.learn(np.frombuffer(r["index"], "<i4"), np.frombuffer(r["value"], "<f4").astype(np.float64), r.quality, weigh[r.quality])
+    for epoch in range(epochs if n else 0):
+        start = model.z, model.n
+
+        def learnt(batches, start=start):
+            """One pass in the order of a hash, a batch at a time: memory holds the model and a batch, whatever the texts' lengths."""
+            own = Ftrl()
+            own.z, own.n = (x.copy() for x in start)
+            for batch in batches:
+                for index, value, label in zip(*(batch[c].to_pylist() for c in ("index", "value", "quality"))):
+                    own.learn(np.frombuffer(index, "<i4"), np.frombuffer(value, "<f4").astype(np.float64), label, weigh[label])
+            yield pa.RecordBatch.from_pydict({"z": pa.array([own.z.tobytes()], pa.binary()), "n": pa.array([own.n.tobytes()], pa.binary())})
+
+        order = F.xxhash64("doc_id", F.lit(seed + epoch))
+        found = sample.repartition(1).sortWithinPartitions(order, "doc_id").select("quality", "index", "value").mapInArrow(learnt, "z binary, n binary").collect()
+        found = max(found, key=lambda r: np.frombuffer(r.n).sum())  # one task with rows; others, if any, returned what they were given
+        model.z, model.n = (np.frombuffer(x).copy() for x in (found.z, found.n))
+    discard(sample)
     return model.weights().astype(np.float32)
 
 
