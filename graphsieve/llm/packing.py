@@ -19,7 +19,6 @@ from graphsieve.llm.common import PieceEncoder, materialize
 
 CAPACITY = 2048
 GROUP = 8_000  # pieces that are packed together
-ROUNDS = 4
 _PIECE = "uid long, doc_id long, piece int, start long, length long, ids_crc32 long"
 _PACKED = _PIECE + ", grp long, bin long, offset long, fill long, gap long, low long"
 
@@ -116,9 +115,12 @@ def _packer(capacity: int, again: bool):
     return packed
 
 
-def pack(pieces: DataFrame, capacity: int = CAPACITY, group: int = GROUP, rounds: int = ROUNDS) -> DataFrame:
+def pack(pieces: DataFrame, capacity: int = CAPACITY, group: int = GROUP, rounds: int | None = None) -> DataFrame:
     """Pieces with sequence_id, offset, and for their group the gap between bins and bound when it was last packed.
 
+    Groups exchange pieces until every group is certified, or a round saves no sequence (or for so many ``rounds``); gaps that stay open
+    are in the result.
+
     Groups are dealt by a hash of a number that is unique to a row, so repeated ids and rows spread evenly. Pieces of full length
     need no packing. Each round is written before the next reads it. An empty table gives an empty result.
     """
@@ -130,14 +132,14 @@ def pack(pieces: DataFrame, capacity: int = CAPACITY, group: int = GROUP, rounds
     key = F.pmod(F.xxhash64("uid"), F.lit(groups))
     now = materialize(rest.withColumn("to", key).groupBy("to").applyInArrow(_packer(capacity, False), _PACKED), "packed-0")
     done, base = [full], groups
-    for r in range(1, rounds + 1):
-        if groups == 1:
-            break
+    r, bins = 0, F.count_distinct(F.struct("grp", "bin"))
+    while groups > 1 and (rounds is None or r < rounds):
+        r += 1
         moves = (F.col("fill") < capacity) & ((F.col("gap") > 0) | (F.col("fill") == F.col("low")))
         marked = now.withColumn("moves", moves)
         pool = marked.filter("moves").drop("moves")
-        m = pool.count()
-        if not m:
+        m, before, open_ = pool.agg(F.count("*"), bins, F.coalesce(F.max("gap"), F.lit(0))).first()
+        if not m or not open_:
             break
         groups = max(1, -(-m // group))
         pool = pool.withColumn("to", F.lit(base) + F.pmod(F.xxhash64("grp", "bin", F.lit(r)), F.lit(groups)))
@@ -145,6 +147,8 @@ def pack(pieces: DataFrame, capacity: int = CAPACITY, group: int = GROUP, rounds
         repacked = materialize(pool.groupBy("to").applyInArrow(_packer(capacity, True), _PACKED), f"packed-{r}")
         done.append(marked.filter("not moves").drop("moves"))
         now = repacked
+        if now.agg(bins).first()[0] >= before:
+            break
     out = now
     for d in done:
         out = out.unionByName(d)
