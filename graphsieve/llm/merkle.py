@@ -1,9 +1,9 @@
 """Document fingerprints: a Merkle tree over paragraphs and sections, in SQL functions alone.
 
 Sections are parted by blank lines, paragraphs by line ends; a paragraph's leaves are its sentences, cut after 64 characters.
-A leaf's hash is the start of the md5 of its text, an inner node's the md5 of its children's hashes, the root's a
-sha256. The fingerprint is ``root~section;section``, a section ``paragraph,paragraph``, a paragraph its leaves' hashes: inner hashes
-follow from it, equal roots mean equal texts, and branches that differ name the sections and paragraphs that were edited.
+A leaf's hash is the md5 of its text, an inner node's the md5 of its children's hashes, the root's a sha256: equal roots mean equal
+texts as far as these hashes go. The fingerprint is ``root~section;section``, a section ``paragraph,paragraph``, a paragraph the starts of its
+leaves' hashes (8 digits each), by which branches that differ name the sections and paragraphs that were edited.
 """
 
 from __future__ import annotations
@@ -14,12 +14,13 @@ from pyspark.sql import functions as F
 #: Fixed value: a leaf is a sentence (ended by . ! or ?) of up to 64 characters, or 64 characters.
 LEAF = r"[^\n]{1,63}?[.!?](?= |$)|[^\n]{1,64}"
 
-CELLS, MAX_RANGES, RANGE_ROWS = 1 << 16, 1 << 14, 512
+#: Ranges of doc_id: their rows and most number, and how many bounds are looked at together.
+RANGE_ROWS, MAX_RANGES, STRIDE = 512, 1 << 14, 128
 
 
 def tree(text: Column) -> Column:
     """Leaves' hashes of a text: sections of paragraphs, as nested lists joined by ``;`` and ``,``."""
-    leaves = lambda p: F.array_join(F.transform(F.regexp_extract_all(p, F.lit(LEAF), F.lit(0)), lambda x: F.substring(F.md5(x.cast("binary")), 1, 8)), "")
+    leaves = lambda p: F.array_join(F.transform(F.regexp_extract_all(p, F.lit(LEAF), F.lit(0)), lambda x: F.md5(x.cast("binary"))), "")
     section = lambda s: F.array_join(F.transform(F.split(s, "\n"), leaves), ",")
     return F.array_join(F.transform(F.split(text, "\n\n"), section), ";")
 
@@ -32,7 +33,7 @@ def root(leaves: Column) -> Column:
 
 
 def fingerprint(leaves: Column) -> Column:
-    return F.concat_ws("~", root(leaves), leaves)
+    return F.concat_ws("~", root(leaves), F.regexp_replace(leaves, "([0-9a-f]{8})[0-9a-f]{24}", "$1"))
 
 
 def leaf_set(print_: Column) -> Column:
@@ -68,22 +69,20 @@ def edited_branches(pairs: DataFrame, a: str, b: str) -> DataFrame:
 def _ranges(docs: DataFrame) -> tuple[Column, DataFrame]:
     """Ranges of doc_id of about equal counts: a column that numbers them, and what doc_id starts the one behind each.
 
-    Ids fall into at most CELLS cells by their leading bits; the counts of the cells are all that the driver sees. Cell 0 has the nulls.
+    Bounds are quantiles of the ids, so one far-off id moves none of the others together; the driver sees a bound and a head per range. Null ids are
+    in the first. A row finds its range among every STRIDE-th bound and then among those behind it.
     """
     spark = docs.sparkSession
     ids = docs.select("doc_id")
-    low, high, total = ids.agg(F.min("doc_id"), F.max("doc_id"), F.count("*")).first()
-    low, high, shift = low or 0, high or 0, 0
-    while (high >> shift) - (low >> shift) >= CELLS:
-        shift += 1
-    cell = F.coalesce(F.shiftright("doc_id", shift) - F.lit((low >> shift) - 1), F.lit(0)).cast("int")
-    counts = dict(ids.groupBy(cell.alias("cell")).count().collect())
+    total = ids.count()
     ranges = max(1, min(MAX_RANGES, -(-total // RANGE_ROWS)))
-    seen, of_cell = 0, []
-    for c in range((high >> shift) - (low >> shift) + 2):
-        of_cell.append(min(ranges - 1, seen * ranges // max(1, total)))
-        seen += counts.get(c, 0)
-    part = F.element_at(F.expr(f"cast(split('{','.join(map(str, of_cell))}', ',') as array<int>)"), cell + 1)
+    found = ids.agg(F.percentile_approx("doc_id", [k / ranges for k in range(1, ranges)], max(10_000, 8 * ranges))).first()[0] if ranges > 1 else []
+    bounds = sorted(set(found or []))
+    listed = lambda x: F.expr(f"cast(split('{','.join(map(str, x))}', ',') as array<bigint>)") if x else F.array().cast("array<bigint>")
+    under = lambda a: F.size(F.filter(a, lambda b: b <= F.col("doc_id")))
+    # the coarse number says how many whole strides of bounds lie at or below the id
+    coarse = under(listed(bounds[STRIDE - 1 :: STRIDE])) * STRIDE
+    part = F.when(F.col("doc_id").isNull(), F.lit(0)).otherwise(coarse + under(F.slice(listed(bounds), coarse + 1, F.lit(STRIDE))))
     heads = sorted(tuple(r) for r in ids.groupBy(part.alias("part")).agg(F.min("doc_id"), F.max(F.col("doc_id").isNull())).collect())
     heads = [(p, None if null else d) for p, d, null in heads]
     behind = [(d, heads[k - 1][0]) for k, (_, d) in enumerate(heads)]
