@@ -8,20 +8,19 @@ the window may start; the words there are then compared.
 
 from __future__ import annotations
 
-
-from itertools import repeat
+from itertools import chain, repeat
 
 import numpy as np
 import pyarrow as pa
 from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
-from graphsieve.llm.common import utf8
+from graphsieve.llm.common import materialize, utf8
 
 WINDOW = 10
 SHINGLE = 5
-#: Words of benchmark items that are held at a time; a larger benchmark is joined block by block.
-BLOCK_WORDS = 1_000_000
+#: Words of benchmark items that are held at a time; a larger benchmark is joined block by block, a longer item part by part.
+BLOCK_WORDS = 200_000
 
 #: Letters A-Z to lower case; other ASCII characters than letters and digits part words.
 _FOLD = bytes(c + 32 if 65 <= c <= 90 else c if c >= 128 or 48 <= c <= 57 or 97 <= c <= 122 else 32 for c in range(256))
@@ -101,17 +100,23 @@ class Windows:
         return np.cumsum(edges[:-1]) > 0, found
 
 
-def _blocks(benchmark: DataFrame, window: int, shingle: int) -> list[Windows]:
-    """Items in blocks of about BLOCK_WORDS words; the rows come to the driver one partition at a time."""
-    out, block, held = [], [], 0
+def _blocks(benchmark: DataFrame, window: int, shingle: int, most: int | None = None):
+    """Items in blocks of at most BLOCK_WORDS words and a window, one after another; the rows come to the driver one partition at a time.
+
+    Parts of a long item overlap by a word less than a window, so that together they have its windows and no others.
+    """
+    most, block, held = max(window, most or BLOCK_WORDS), [], 0
     for r in benchmark.select(F.coalesce(F.col("item_id").cast("string"), F.lit("null")).alias("i"), F.coalesce("text", F.lit("")).alias("t")).toLocalIterator():
-        if words := words_of(r.t.encode()):
-            block.append((r.i, words))
-            held += len(words)
-        if held >= BLOCK_WORDS:
-            out.append(Windows(block, window, shingle))
-            block, held = [], 0
-    return [*out, *([Windows(block, window, shingle)] if block else [])]
+        words = words_of(r.t.encode())
+        for at in range(0, max(1, len(words) - window + 1), most):
+            if part := words[at : at + most + window - 1]:
+                if held and held + len(part) > most:
+                    yield Windows(block, window, shingle)
+                    block, held = [], 0
+                block.append((r.i, part))
+                held += len(part)
+    if block:
+        yield Windows(block, window, shingle)
 
 
 def _shingle_counts(docs: DataFrame, held) -> list:
@@ -140,13 +145,21 @@ def find_contamination(docs: DataFrame, benchmark: DataFrame, window: int = WIND
     """``docs`` with n_words, n_hit (words inside an occurrence of a window) and items (ids, sorted as strings).
 
     Null texts have no words; a null item_id reads "null"; items without words have no window. Repeated items and rows
-    count each. Blocks of the benchmark follow one another in one pass, each in a worker of its own. Columns of these names are replaced.
+    count each. Blocks of the benchmark follow one another, each read after the one before is written and gone, so that the driver and every worker
+    hold one block, whatever the benchmark's size. Columns of these names are replaced.
     """
     sc = docs.sparkSession.sparkContext
     out = docs.drop("n_words", "n_hit", "items", "_spans").withColumns({"n_words": F.lit(0).cast("long"), "n_hit": F.lit(0).cast("long"), "items": F.array().cast("array<string>"), "_spans": F.lit(b"").cast("binary")})
     schema = out.schema
-    blocks = _blocks(benchmark, window, shingle)
-    for block in blocks or [Windows([], window, shingle)]:
+    before = None
+    for k, block in enumerate(chain(_blocks(benchmark, window, shingle), [None])):
+        if block is None:
+            if k:
+                break
+            block = Windows([], window, shingle)
+        if before is not None:
+            out = materialize(out, "contamination")
+            before.unpersist()
         held = sc.broadcast(block)
         counts: dict[int, dict[int, int]] = {}
         if block.words:
@@ -154,7 +167,8 @@ def find_contamination(docs: DataFrame, benchmark: DataFrame, window: int = WIND
                 counts.setdefault(r.size, {})[r.shingle % (1 << 64)] = r.n
         held.unpersist()
         block.order(counts)
-        out = out.mapInArrow(_matcher(sc.broadcast(block)), schema)
+        before = sc.broadcast(block)
+        out = out.mapInArrow(_matcher(before), schema)
     return out.drop("_spans")
 
 
