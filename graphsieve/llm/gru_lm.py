@@ -25,6 +25,8 @@ WORDS, CLASSES, HIDDEN = 2048, 32, 16
 HELD_WORDS = 150_000
 ROUNDS, MAX_TRAINERS = 2, 64
 LANES, STEPS = 256, 32
+#: Lanes and rate of training.
+TRAIN_LANES, RATE = 128, 0.2
 SMOOTH = 0.1
 END = b""  # no word is empty
 
@@ -86,31 +88,49 @@ class Gru:
     def forward(self, inputs: np.ndarray, fresh: np.ndarray, state: np.ndarray, keep: bool):
         """Run (steps, lanes) inputs; ``fresh`` marks where a document starts (state 0, no input word: -1)."""
         h = self.h
-        gates_in = self.p["x"][inputs] + self.p["b"]
-        gates_in[inputs < 0] = self.p["b"]
-        u_zr, u_n = self.p["u"][:, : 2 * h], self.p["u"][:, 2 * h :]
+        table = np.concatenate([self.p["x"] + self.p["b"], self.p["b"][None]])  # its last row, -1, is no word
+        gates_in = np.take(table, inputs, axis=0)
+        u_zr, u_n = np.ascontiguousarray(self.p["u"][:, : 2 * h]), np.ascontiguousarray(self.p["u"][:, 2 * h :])
         states, kept = np.empty((len(inputs), inputs.shape[1], h), np.float32), []
+        starts = fresh.any(1)
         for t in range(len(inputs)):
-            if fresh[t].any():
+            if starts[t]:
                 state = np.where(fresh[t][:, None], np.float32(0), state)
-            zr = 1 / (1 + np.exp(-(gates_in[t, :, : 2 * h] + state @ u_zr)))
+            zr = state @ u_zr
+            zr += gates_in[t, :, : 2 * h]
+            np.negative(zr, out=zr)
+            np.exp(zr, out=zr)
+            zr += 1
+            np.reciprocal(zr, out=zr)
             z, r = zr[:, :h], zr[:, h:]
             rs = r * state
-            n = np.tanh(gates_in[t, :, 2 * h :] + rs @ u_n)
-            new = n + z * (state - n)
+            n = rs @ u_n
+            n += gates_in[t, :, 2 * h :]
+            np.tanh(n, out=n)
+            new = state - n
+            new *= z
+            new += n
             if keep:
                 kept.append((state, z, r, n, rs))
             states[t] = state = new
         return states, kept, state
 
+    def _exponents(self, logits: np.ndarray, tame: bool) -> np.ndarray:
+        """Exponentials of logits, row-wise moved into range where the weights would let them out of it. Changes the logits."""
+        if not tame:
+            logits -= logits.max(1, keepdims=True)
+        return np.exp(logits)
+
     def output(self, flat_states: np.ndarray, targets: np.ndarray, grads: dict | None = None, weight: np.ndarray | None = None):
         """Log-probabilities of targets; with grads, also the gradient of the states (sum of losses)."""
         v, p = self.v, self.p
-        cls = v.class_of[targets]
-        logits = flat_states @ p["wc"] + p["bc"]
-        logits -= logits.max(1, keepdims=True)
-        e = np.exp(logits)
-        total = e.sum(1)
+        # states are within -1 and 1, so weights bound the logits; single precision holds exponentials up to 88
+        tame = [float((np.abs(p[w]).sum(0) + np.abs(p[b])).max()) < 60 for w, b in (("wc", "bc"), ("wo", "bo"))]
+        cls = np.take(v.class_of, targets)
+        logits = flat_states @ p["wc"]
+        logits += p["bc"]
+        e = self._exponents(logits, tame[0])
+        total = e @ np.ones(e.shape[1], np.float32)
         rows = np.arange(len(targets))
         out = logits[rows, cls] - np.log(total)
         d_state = None
@@ -121,70 +141,90 @@ class Gru:
             grads["wc"] += flat_states.T @ d
             grads["bc"] += d.sum(0)
             d_state = d @ p["wc"].T
-        order = np.argsort(cls, kind="stable")
+        order = np.argsort(cls.astype(np.int16), kind="stable")
         bounds = np.searchsorted(cls[order], np.arange(len(v.starts) + 1))
+        by_class, hit = np.take(flat_states, order, axis=0), np.take(targets, order)
+        found, d_by_class = np.zeros(len(order), np.float32), None if grads is None else np.zeros_like(by_class)
         for c, (a, b) in enumerate(zip(v.starts, v.ends)):
-            mine = order[bounds[c] : bounds[c + 1]]
-            if not mine.size or b - a == 1:
+            lo, hi = bounds[c], bounds[c + 1]
+            if lo == hi or b - a == 1:
                 continue
-            s = flat_states[mine]
-            logits = s @ p["wo"][:, a:b] + p["bo"][a:b]
-            logits -= logits.max(1, keepdims=True)
-            e = np.exp(logits)
-            total = e.sum(1)
-            k, at = np.arange(len(mine)), targets[mine] - a
-            out[mine] += logits[k, at] - np.log(total)
+            s = by_class[lo:hi]
+            logits = s @ p["wo"][:, a:b]
+            logits += p["bo"][a:b]
+            e = self._exponents(logits, tame[1])
+            total = e @ np.ones(b - a, np.float32)
+            k, at = rows[: hi - lo], hit[lo:hi] - a
+            found[lo:hi] = logits[k, at] - np.log(total)
             if grads is not None:
-                d = e / total[:, None]
-                d[k, at] -= 1
-                d *= weight[mine][:, None]
-                grads["wo"][:, a:b] += s.T @ d
-                grads["bo"][a:b] += d.sum(0)
-                d_state[mine] += d @ p["wo"][:, a:b].T
+                e /= total[:, None]
+                e[k, at] -= 1
+                e *= np.take(weight, order[lo:hi])[:, None]
+                grads["wo"][:, a:b] += s.T @ e
+                grads["bo"][a:b] += e.sum(0)
+                d_by_class[lo:hi] = e @ p["wo"][:, a:b].T
+        out[order] += found
+        if grads is not None:
+            d_state[order] += d_by_class
         return out, d_state
 
-    def learn(self, inputs, fresh, targets, valid, state, sums: dict, rate: float):
-        """One window of truncated backpropagation (adaptive gradient steps); returns the state for the next window."""
+    def gradients(self, inputs, fresh, targets, valid, state) -> tuple[dict, np.ndarray, np.ndarray]:
+        """Gradients of one window's mean loss, truncated at its start, the rows of "x" that have one, and the state for the next window."""
         h, p = self.h, self.p
         states, kept, last = self.forward(inputs, fresh, state, True)
-        grads = {k: np.zeros_like(x) for k, x in p.items()}
+        grads = {k: np.zeros_like(p[k]) for k in self.NAMES if k != "x"}
         weight = (valid / max(1, valid.sum())).astype(np.float32).ravel()
         _, d_out = self.output(states.reshape(-1, h), targets.ravel(), grads, weight)
         d_out, d_next = d_out.reshape(states.shape), np.zeros_like(last)
         d_gates = np.empty((len(inputs), inputs.shape[1], 3 * h), np.float32)
-        u_zr, u_n = p["u"][:, : 2 * h], p["u"][:, 2 * h :]
+        befores, resets, starts = np.empty_like(states), np.empty_like(states), fresh.any(1)
+        u_zr_t, u_n_t = np.ascontiguousarray(p["u"][:, : 2 * h].T), np.ascontiguousarray(p["u"][:, 2 * h :].T)
         for t in range(len(inputs) - 1, -1, -1):
             s, z, r, n, rs = kept[t]
             d = d_out[t] + d_next
             d_n = d * (1 - z) * (1 - n * n)
-            d_rs = d_n @ u_n.T
+            d_rs = d_n @ u_n_t
             d_z, d_r = d * (s - n) * z * (1 - z), d_rs * s * r * (1 - r)
-            d_zr = np.concatenate([d_z, d_r], 1)
-            d_gates[t, :, : 2 * h], d_gates[t, :, 2 * h :] = d_zr, d_n
-            grads["u"][:, : 2 * h] += s.T @ d_zr
-            grads["u"][:, 2 * h :] += rs.T @ d_n
-            d_next = d * z + d_rs * r + d_zr @ u_zr.T
-            d_next[fresh[t]] = 0
+            here = d_gates[t]
+            here[:, :h], here[:, h : 2 * h], here[:, 2 * h :] = d_z, d_r, d_n
+            befores[t], resets[t] = s, rs
+            d_next = d * z + d_rs * r + here[:, : 2 * h] @ u_zr_t
+            if starts[t]:
+                d_next[fresh[t]] = 0
         flat, words = d_gates.reshape(-1, 3 * h), inputs.ravel()
+        grads["u"][:, : 2 * h] = befores.reshape(-1, h).T @ flat[:, : 2 * h]
+        grads["u"][:, 2 * h :] = resets.reshape(-1, h).T @ flat[:, 2 * h :]
         grads["b"] += flat.sum(0)
         known = np.flatnonzero(words >= 0)
-        order = known[np.argsort(words[known], kind="stable")]
+        order = known[np.argsort(words[known].astype(np.int16) if self.v.size < 1 << 15 else words[known], kind="stable")]
+        distinct = np.empty(0, np.int64)
+        grads["x"] = np.empty((0, 3 * h), np.float32)
         if order.size:
             distinct, first = np.unique(words[order], return_index=True)
-            grads["x"][distinct] += np.add.reduceat(flat[order], first)
+            grads["x"] = np.add.reduceat(np.take(flat, order, axis=0), first)
+        return grads, distinct, last
+
+    def learn(self, inputs, fresh, targets, valid, state, sums: dict, rate: float):
+        """One window of truncated backpropagation (adaptive gradient steps); returns the state for the next window."""
+        grads, distinct, last = self.gradients(inputs, fresh, targets, valid, state)
         norm = math.sqrt(sum(float((g * g).sum()) for g in grads.values()))
-        scale = min(1.0, 1.0 / max(norm, 1e-9))
-        for k in p:
-            g = grads[k] * scale
-            sums[k] += g * g
-            p[k] -= (rate * g / (np.sqrt(sums[k]) + 1e-4)).astype(np.float32)
+        scale = np.float32(min(1.0, 1.0 / max(norm, 1e-9)))
+        for k, g in grads.items():
+            g = g * scale
+            at = distinct if k == "x" else slice(None)
+            sums[k][at] += g * g
+            self.p[k][at] -= np.float32(rate) * g / (np.sqrt(sums[k][at]) + np.float32(1e-4))
         return last
 
 
-def lanes_of(documents: list[np.ndarray], lanes: int):
-    """Documents end to end in lanes of about equal lengths: inputs, targets, starts and owners, each (steps, lanes)."""
+#: Steps that are laid out at a time: memory follows lanes and BLOCK, however long a document is.
+BLOCK = 4096
+
+
+def lanes_of(documents: list[np.ndarray], lanes: int, steps: int, block: int = BLOCK):
+    """Documents end to end in lanes of about equal lengths, a window of ``steps`` at a time: which lanes still run, and their inputs, targets,
+    starts and owners, each (steps, lanes). Lanes that have ended take no further part."""
     lanes = max(1, min(lanes, len(documents)))
-    lengths = [0] * lanes
     rows: list[list[int]] = [[] for _ in range(lanes)]
     import heapq
 
@@ -192,48 +232,62 @@ def lanes_of(documents: list[np.ndarray], lanes: int):
     for d in sorted(range(len(documents)), key=lambda d: -len(documents[d])):
         n, k = heapq.heappop(heap)
         rows[k].append(d)
-        lengths[k] = n + len(documents[d])
-        heapq.heappush(heap, (lengths[k], k))
-    steps = max(lengths)
-    targets, inputs = np.zeros((steps, lanes), np.int32), np.full((steps, lanes), -1, np.int32)
-    fresh, owner = np.zeros((steps, lanes), bool), np.full((steps, lanes), -1, np.int32)
-    for k, docs in enumerate(rows):
-        at = 0
-        for d in docs:
-            ids = documents[d]
-            targets[at : at + len(ids), k] = ids
-            inputs[at + 1 : at + len(ids), k] = ids[:-1]
-            fresh[at, k] = True
-            owner[at : at + len(ids), k] = d
-            at += len(ids)
-    return inputs, targets, fresh, owner
+        heapq.heappush(heap, (n + len(documents[d]), k))
+    length = np.zeros(lanes, np.int64)
+    for n, k in heap:
+        length[k] = n
+    at_document, at_token = [0] * lanes, [0] * lanes
+    running = np.arange(lanes)
+    for begin in range(0, int(length.max(initial=0)), block):
+        running = running[length[running] > begin]
+        size = min(block, int(length[running].max()) - begin)
+        targets, inputs = np.zeros((size, len(running)), np.int32), np.full((size, len(running)), -1, np.int32)
+        fresh, owner = np.zeros((size, len(running)), bool), np.full((size, len(running)), -1, np.int32)
+        for column, k in enumerate(running.tolist()):
+            at = 0
+            while at < size and at_document[k] < len(rows[k]):
+                d, a = rows[k][at_document[k]], at_token[k]
+                ids = documents[d]
+                n = min(size - at, len(ids) - a)
+                targets[at : at + n, column] = ids[a : a + n]
+                inputs[at + (a == 0) : at + n, column] = ids[max(0, a - 1) : a + n - 1]
+                fresh[at, column] |= a == 0
+                owner[at : at + n, column] = d
+                at, at_token[k] = at + n, a + n
+                if at_token[k] == len(ids):
+                    at_document[k], at_token[k] = at_document[k] + 1, 0
+        for t in range(0, size, steps):
+            here = slice(t, t + steps)
+            live = np.flatnonzero(length[running] > begin + t)
+            if len(live) == len(running):
+                yield running, inputs[here], targets[here], fresh[here], owner[here]
+            else:
+                yield running[live], inputs[here, live], targets[here, live], fresh[here, live], owner[here, live]
 
 
 def score_documents(model: Gru, documents: list[np.ndarray], lanes: int = LANES, steps: int = 64) -> np.ndarray:
     """Natural log-likelihood of every document (ids with the end); the state runs through all its windows."""
     scores = np.zeros(len(documents))
-    if not documents:
-        return scores
-    inputs, targets, fresh, owner = lanes_of(documents, lanes)
-    state = np.zeros((inputs.shape[1], model.h), np.float32)
-    for t in range(0, len(inputs), steps):
-        w = slice(t, t + steps)
-        states, _, state = model.forward(inputs[w], fresh[w], state, False)
-        here = owner[w].ravel() >= 0
-        logp, _ = model.output(states.reshape(-1, model.h)[here], targets[w].ravel()[here])
-        scores += np.bincount(owner[w].ravel()[here], logp.astype(np.float64), len(documents))
+    state = np.zeros((lanes, model.h), np.float32)
+    for running, inputs, targets, fresh, owner in lanes_of(documents, lanes, steps):
+        states, _, last = model.forward(inputs, fresh, state[running], False)
+        state[running] = last
+        flat = owner.ravel()
+        here = flat >= 0
+        if here.all():
+            logp, _ = model.output(states.reshape(-1, model.h), targets.ravel())
+        else:
+            flat = flat[here]
+            logp, _ = model.output(states.reshape(-1, model.h)[here], targets.ravel()[here])
+        scores += np.bincount(flat, logp.astype(np.float64), len(documents))
     return scores
 
 
-def train_documents(model: Gru, documents: list[np.ndarray], lanes: int = 32, steps: int = STEPS, rate: float = 0.1) -> int:
+def train_documents(model: Gru, documents: list[np.ndarray], lanes: int = TRAIN_LANES, steps: int = STEPS, rate: float = RATE) -> int:
     """One pass of truncated backpropagation over the documents; returns the number of their tokens."""
-    if not documents:
-        return 0
-    inputs, targets, fresh, owner = lanes_of(documents, lanes)
-    state, sums = np.zeros((inputs.shape[1], model.h), np.float32), {k: np.zeros_like(x) for k, x in model.p.items()}
-    for t in range(0, len(inputs), steps):
-        w = slice(t, t + steps)
-        state = model.learn(inputs[w], fresh[w], targets[w], owner[w] >= 0, state, sums, rate)
+    state, sums = np.zeros((lanes, model.h), np.float32), {k: np.zeros_like(x) for k, x in model.p.items()}
+    for running, inputs, targets, fresh, owner in lanes_of(documents, lanes, steps):
+        state[running] = model.learn(inputs, fresh, targets, owner >= 0, state[running], sums, rate)
     return sum(map(len, documents))
 
 
