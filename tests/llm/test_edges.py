@@ -52,3 +52,32 @@ def test_html():
     assert html_text.render("<ol start=3><li>x<li>y</ol><pre>a  b\n c</pre>") == "3. x\n4. y\n\na  b\n c"
     assert html_text.render(None) == html_text.render("") == ""
     assert html_text.render("<div>" * 5000 + "deep") == "deep"
+    assert html_text.render("<p>a <math><mi>x</mi></math> <svg><defs><text>no</text></defs><text>lab</text></svg> b</p>") == "a x lab b"
+    assert html_text.render("<table><tr><td>" * 300 + "in" + "</table>" * 300) == "in"
+    assert html_text.render("<table><tr><td colspan=400>wide<td>x<tr><td>a<td>b</table>") == "wide  x\na  b"
+
+
+def test_pages(spark):
+    """Null and empty pages, repeated rows, a text column that clashes, and an empty table."""
+    rows = [(1, "u", None, "z"), (2, None, "", "z"), (3, "u", "<p>x", "z"), (3, "u", "<p>x", "z"), (None, "u", "word " * 1_000_000, "z")]
+    pages = spark.createDataFrame(rows, "page_id long, url string, html string, text string")
+    got = sorted((r.page_id or 0, r.n_chars) for r in html_text.extraction_report(pages).collect())
+    assert got == [(0, 4_999_999), (1, 0), (2, 0), (3, 1), (3, 1)]
+    assert html_text.extraction_report(pages.limit(0)).collect() == []
+
+
+def test_pipeline_odd_rows(spark, tmp_path):
+    """Every stage on nulls, empty and very long texts, repeated rows and clashing columns, and on an empty table."""
+    import corpus_pipeline
+
+    docs = spark.createDataFrame([(d, t, "en", "s", 0, "z", "z", "z") for d, t in [*ROWS, (6, "word " * 200_000)]], DOCS)
+    for name, rows in (("some", docs), ("none", docs.limit(0))):
+        folder = f"file://{tmp_path}/{name}"
+        spark.createDataFrame([(3, 1, 0), (None, 1, 0)], "doc_id long, quality int, toxic int").write.parquet(f"{folder}/labels.parquet")
+        spark.createDataFrame([(1, "p q r"), (2, None)], "item_id long, text string").write.parquet(f"{folder}/benchmark.parquet")
+        rows.write.parquet(f"{folder}/documents.parquet")
+        now = spark.read.parquet(f"{folder}/documents.parquet")
+        for stage, f in corpus_pipeline.STAGES:
+            out = f(spark, now, folder)
+            assert stage == "packing" or out.columns == now.columns, stage
+            assert bool(out.count()) == (name == "some" and stage != "quality"), stage  # with good labels alone, none scores 0.7
