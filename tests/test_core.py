@@ -4,17 +4,20 @@ import random
 from itertools import permutations
 
 import pytest
+from pyspark.sql import functions as F
 from graphsieve.operators import baselines, explore, layout, measures
-from graphsieve.operators.reduce import LabeledGraph, init_candidates, neighbourhood_fixpoint, symmetric
+from graphsieve.operators.reduce import LabeledGraph, init_candidates, labelled_edges, neighbourhood_fixpoint, symmetric
 from graphsieve.operators.sieve import count_matches, enumerate_matches, has_match, sieve
-from graphsieve.operators.walks import walk_sources
-from graphsieve.plans.rules import Rule, generate, schedule
+from graphsieve.operators.walks import hubs_of, rule_plan, walk_sources
+from graphsieve.plans.rules import Rule, WalkPlan, cycle_rules, extra_covers, generate, schedule
 from graphsieve.plans.template import Template, TemplateProfile
+from graphsieve.sources.graphs import dictionary, store
 
 
 def graph(spark, labels, edges):
-    v = spark.createDataFrame([(k, x) for k, x in enumerate(labels)] if not isinstance(labels, dict) else list(labels.items()), "vid long, label string")
-    return LabeledGraph(v, symmetric(spark.createDataFrame([tuple(e) for e in edges], "src long, dst long")))
+    """A written graph: rows from the driver are slow to read again and again."""
+    v = spark.createDataFrame([(k, x) for k, x in enumerate(labels)] if not isinstance(labels, dict) else list(labels.items()), "vid long, label string").coalesce(1)
+    return store(v, symmetric(spark.createDataFrame([tuple(e) for e in edges], "src long, dst long").coalesce(1)).coalesce(1), "test")
 
 
 def brute(labels, edges, t):
@@ -51,12 +54,16 @@ FIXTURES = {
 
 @pytest.mark.parametrize("name", FIXTURES)
 def test_fixtures(spark, name):
+    """The single task, and the distributed engine where a fixture tells something of it."""
     t, labels, edges = FIXTURES[name]
     ms = brute(labels, edges, t)
-    s = sieve(graph(spark, labels, edges), t)
-    assert answer(s) == exact(ms, t)
+    g = graph(spark, labels, edges)
+    for options in ({}, {"starts": "every"}, {"how": "none"}, *([{"local_below": 0}] if name in ("false_edge", "fold", "star") else [])):
+        s = sieve(g, t, **options)
+        assert answer(s) == exact(ms, t), options
     assert count_matches(s).first().n == len(ms)
     assert sorted(map(tuple, enumerate_matches(s).collect())) == sorted(ms)
+    assert has_match(g, t) == bool(ms)
 
 
 def test_levels_of_the_neighbourhood_check(spark):
@@ -79,7 +86,10 @@ def test_issuer_tokens_are_refused_where_unsafe(spark):
     t, labels, edges = FIXTURES["fold"]
     s = init_candidates(graph(spark, labels, edges), t)
     with pytest.raises(ValueError):
-        walk_sources(s, t, Rule("cycle", 0, frozenset(t.edges)), "issuer")
+        walk_sources(s, Rule("cycle", 0, frozenset(t.edges)), "issuer")
+    # where labels differ, tokens carry their issuer and last position alone
+    plan = rule_plan(TRI, Rule("cycle", 1, frozenset(TRI.edges)), "issuer")
+    assert [sorted({*step.live, 1}) for step, _ in plan.hops][0] == sorted({1, plan.hops[0][0].to})
 
 
 def test_torus_without_cliques(spark):
@@ -121,12 +131,20 @@ def test_exploration_and_revisions(spark):
     steps = [("add", 0, 2), ("remove", 0, 1)]
     answers = {m: [answer(s) for s in explore.run_revisions(g, path, steps, whole, m)] for m in ("independent", "superset", "superset_memo")}
     assert answers["independent"] == answers["superset"] == answers["superset_memo"]
+    session = explore.IncrementalSession(g, path, whole)
+    assert session.stats()["vertices"] == len(answers["independent"][0][0])
     with pytest.raises(ValueError):
         explore.IncrementalSession(g, path).remove_edge(0, 1)
 
 
 def test_rules():
     t = Template.build("abcda", [(0, 1), (1, 2), (0, 2), (1, 3), (2, 3), (3, 4)])
+    starts = [r.start for r in cycle_rules(TemplateProfile.of(t), True, {"a": 3, "b": 2, "c": 1, "d": 0})]
+    assert starts[:3] == [2, 1, 0]  # every role of the first cycle, the rarest label first
+    assert [r.start for r in cycle_rules(TemplateProfile.of(t), False, {"a": 3, "b": 2, "c": 1, "d": 0})][0] == 2
+    assert len(extra_covers(TemplateProfile.of(t), 3)) <= 3 and all(len(c) < len(t.edges) for c in extra_covers(TemplateProfile.of(t), 3))
+    assert Rule("cycle", 1, frozenset([(0, 1), (1, 2), (0, 2)])).sequence() in ((1, 0, 2), (1, 2, 0))
+    assert [step.to for step in WalkPlan(TRI, TRI.edges, 0, sequence=(0, 2, 1)).steps][0] == 2
     rules = schedule(generate(t, every_start=False))
     assert [r.kind for r in rules if r.kind == "cycle"] == ["cycle"] * 3
     assert [r.length for r in rules if r.kind != "cover"] == sorted(r.length for r in rules if r.kind != "cover")
@@ -163,9 +181,98 @@ def test_layout(spark, tmp_path):
     t, labels, edges = FIXTURES["false_edge"]
     g = graph(spark, labels, edges)
     s = neighbourhood_fixpoint(init_candidates(g, t), t)
+    assert s.counts()[1] == s.rows == s.edges.count()
     layout.save(s, f"file://{tmp_path}/s")
     again = layout.consolidate(layout.rebalance(layout.load(spark, f"file://{tmp_path}/s"), 3))
     assert answer(sieve(g, t, state=again)) == answer(sieve(g, t))
     assert {tuple(r) for r in layout.salted_degrees(g.edges, 3).collect()} == {tuple(r) for r in g.edges.groupBy("src").count().collect()}
     pr = measures.precision_recall(s.edges, sieve(g, t).edges, ["src", "dst"])
     assert pr["recall"] == 1 and pr["precision"] == 12 / 14
+
+
+def test_edges_with_labels_and_directions(spark):
+    """Parallel edges, labels and directions against brute force, on both engines."""
+    rnd = random.Random(5)
+    labels = {k: "abc"[k % 3] for k in range(12)}
+    rows = sorted({(rnd.randrange(12), rnd.randrange(12), rnd.choice("xy")) for _ in range(90)})
+    v = spark.createDataFrame(list(labels.items()), "vid long, label string")
+    g = store(v, labelled_edges(spark.createDataFrame(rows, "src long, dst long, elabel string"), F.col("elabel")), "typed")
+    for text in ("(p:a)-[x]->(q:b)-(r:c), (r)->(p)", "(p:a)-[y]-(q:b)-[x]->(r:a)", "(p:a)->(q:a)"):
+        t = Template.parse(text)
+        assert Template.from_json(t.to_json()) == t
+        told = {(a, b): (x, way) for a, b, x, way in t.demands}
+
+        def fits(m, a, b, told=told):
+            x, way = told.get((a, b)) or told.get((b, a)) or (None, False)
+            there = [(p, q, z) for p, q, z in rows if {p, q} == {m[a], m[b]} and p != q and x in (None, z)]
+            p, q = (m[a], m[b]) if (a, b) in told else (m[b], m[a])
+            return any(not way or (r[0], r[1]) == (p, q) for r in there)
+
+        ms = [m for m in permutations(labels, t.n) if all(labels[x] == y for x, y in zip(m, t.labels)) and all(fits(m, a, b) for a, b in t.edges)]
+        for options in ({}, {"local_below": 0}):
+            s = sieve(g, t, **options)
+            assert answer(s) == exact(ms, t), (text, options)
+        assert sorted(map(tuple, enumerate_matches(s).collect())) == sorted(ms)
+    plain = Template.parse("(p:a)-(q:b)")
+    assert sieve(g, plain).state.rows == sieve(LabeledGraph(v, symmetric(spark.createDataFrame(rows, "src long, dst long, elabel string"))), plain).state.rows
+
+
+def test_hub_is_spread(spark):
+    """A star's hub: with salts its tokens and edges go to many tasks, and the answer stays."""
+    n = 3000
+    g = store(spark.range(n + 1).select(F.col("id").alias("vid"), F.when(F.col("id") == 0, "hub").when(F.col("id") % 2 == 0, "b").otherwise("c").alias("label")), symmetric(spark.range(1, n + 1).select(F.lit(0).alias("src"), F.col("id").alias("dst")).unionByName(spark.range(1, n, 2).select(F.col("id").alias("src"), (F.col("id") + 1).alias("dst")))), "star")
+    t = Template.parse("(c:c)-(h:hub)-(b:b), (c)-(b)")
+    plain, salted = sieve(g, t), sieve(g, t, local_below=0, hub_degree=100)
+    assert plain.state.rows == salted.state.rows == 3 * n and count_matches(plain).first().n == n // 2
+    state = init_candidates(g, t)
+    hubs = hubs_of(state, 100, 0)
+    assert [r.hub for r in hubs.collect()] == [0] and hubs_of(state) is None
+    loads = [r["edges"] for r in layout.partition_loads(layout.spread_hubs(g.edges.select("src", "dst"), 100, 64).filter("src = 0").withColumn("src", F.col("salt").cast("long")), 8).collect()]
+    assert len(loads) == 8 and max(loads) < 2 * sorted(loads)[4]
+
+
+def test_depth_first_in_parts(spark, monkeypatch):
+    """Tokens that exceed the cap are walked a part at a time; the answer is the same."""
+    import numpy as np
+    from graphsieve.operators import local
+
+    rnd = random.Random(2)
+    labels = ["abc"[k % 3] for k in range(60)]
+    edges = [(a, b) for a in range(60) for b in range(a) if rnd.random() < 0.2]
+    t = Template.build("abcab", [(0, 1), (1, 2), (2, 3), (3, 4), (4, 0)])
+    pairs = np.array([*edges, *[(b, a) for a, b in edges]])
+    found = []
+    for cap in (10**6, 50, 1):
+        monkeypatch.setattr(local.Walk.__init__, "__defaults__", ("live", False, False, cap))
+        kept = local.Kept.of(t, pairs[:, 0], pairs[:, 1], np.array([t.by_label[labels[a]] for a in pairs[:, 0]]))
+        local.sieve_kept(kept)
+        found.append((kept.s.tolist(), kept.d.tolist(), kept.mask.tolist()))
+    assert found[0] == found[1] == found[2] and found[0][0]
+
+
+def test_dictionary(spark):
+    """Every distinct value has its place in sorted order, over many partitions; nulls have none."""
+    words = [f"w{k * 7919 % 5000}" for k in range(6000)] + [None]
+    got = {r.w: r.place for r in dictionary(spark.createDataFrame([(w,) for w in words], "w string").repartition(13)).collect()}
+    assert got == {w: k for k, w in enumerate(sorted({w for w in words if w}))}
+
+
+def test_exploration_of_six_brands(spark):
+    """Variants of a level solved together are those solved one by one."""
+    rnd = random.Random(9)
+    labels = ["abcdef"[k % 6] for k in range(24)]
+    edges = [(a, b) for a in range(24) for b in range(a) if rnd.random() < 0.35]
+    g = graph(spark, labels, edges)
+    k6 = Template.build("abcdef", [(a, b) for a in range(6) for b in range(a)])
+    r = explore.explore(g, k6)
+    assert r.level and [x["variants"] for x in r.levels] == [1, 15, 105, 455, 1365, 3003][: r.level + 1]
+    assert all(x["matched"] == 0 for x in r.levels[:-1]) and r.levels[-1]["matched"] and r.levels[-1]["reused"]
+    want = set()
+    for x in k6.relaxations(r.level):
+        at = {(a, b) for a, b in edges} | {(b, a) for a, b in edges}
+        near = {v: {w for p, w in at if p == v} for v in range(24)}
+        partial = [()]
+        for q in range(6):
+            partial = [(*m, v) for m in partial for v in range(24) if labels[v] == x.labels[q] and v not in m and all(v in near[m[p]] for p in x.adjacent[q] if p < q)]
+        want |= exact(partial, x)[1]
+    assert {tuple(e) for e in r.union_edges().collect()} == want
