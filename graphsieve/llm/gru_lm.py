@@ -12,6 +12,7 @@ from __future__ import annotations
 import math
 import os
 from collections import Counter
+from itertools import repeat
 
 import numpy as np
 import pyarrow as pa
@@ -338,7 +339,7 @@ def train(training: DataFrame, vocabulary: Vocabulary, rounds: int = ROUNDS, see
             ids, unk, documents = v.ids.get, v.unk, []
             model, total = Gru(v).load(start), 0
             for batch in batches:
-                documents += [np.array([ids(w, unk) for w in tokens_of(t)], np.int32) for t in utf8(batch["text"])]
+                documents += [np.fromiter(map(ids, words, repeat(unk)), np.int32, len(words)) for words in map(tokens_of, utf8(batch["text"]))]
                 if sum(map(len, documents)) > 1_000_000:
                     total += train_documents(model, documents)
                     documents = []
@@ -395,9 +396,12 @@ def lm_scores(docs: DataFrame, held_words: int = HELD_WORDS) -> DataFrame:
 
         _one_thread()
         v, parameters, known = held.value
-        model, ids, unk, uid = Gru(v).load(parameters), v.ids.get, v.unk, TaskContext.get().partitionId() << 40
-        logs = {w: math.log10(n + SMOOTH) for w, n in known.items()}
+        model, unk, uid = Gru(v).load(parameters), v.unk, TaskContext.get().partitionId() << 40
         unseen = math.log10(SMOOTH)
+        # a place for every word that is held; the last one stands for all others
+        place = {w: k for k, w in enumerate(known)}.get
+        held_ids = np.array([*(v.ids.get(w, unk) for w in known), unk], np.int32)
+        held_logs = np.array([*(math.log10(n + SMOOTH) for n in known.values()), unseen])
 
         def done(rows_, documents):
             nonlocal uid
@@ -412,13 +416,12 @@ def lm_scores(docs: DataFrame, held_words: int = HELD_WORDS) -> DataFrame:
         for batch in batches:
             for d, h, text in zip(batch["doc_id"].to_pylist(), batch["held_out"].to_pylist(), utf8(batch["text"])):
                 words = tokens_of(text)
-                tokens = np.fromiter([ids(w, unk) for w in words], np.int32, len(words))
-                found = [logs.get(w) for w in words]
-                out = np.flatnonzero(tokens == unk).tolist()
-                rare = [words[k] for k in out if found[k] is None]
-                outside_sum = sum(found[k] for k in out if found[k] is not None)
+                at = np.fromiter(map(place, words, repeat(len(known))), np.int32, len(words))
+                tokens, found = np.take(held_ids, at), np.take(held_logs, at)
+                out = tokens == unk
+                rare = [words[k] for k in np.flatnonzero(at == len(known)).tolist()]
                 # words that are not held count as unseen until the join finds them
-                pending.append((d, h, len(words), len(words) - len(rare), sum(x for x in found if x is not None) + unseen * len(rare), outside_sum + unseen * len(rare), len(out), rare))
+                pending.append((d, h, len(words), len(words) - len(rare), float(found.sum()), float(found[out].sum()), int(out.sum()), rare))
                 documents.append(tokens)
                 held_tokens += len(tokens)
                 if held_tokens > 1_500_000:
