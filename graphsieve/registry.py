@@ -229,10 +229,11 @@ query("baseline_direct_w6", f"{_M6} select count(*) as n from m")(lambda s, d: b
 query("baseline_replicated_w2", f"{_M2} select r0, r1, r2 from m")(lambda s, d: baselines.replicated_enumerate(graph(s, d, "trade"), T2))
 _P = "with " + oracle_prefix("coorder") + ", up as materialized (select src, dst from ge where src < dst)"
 _C3 = "c3 as materialized (select a.src as x, a.dst as y, b.dst as z from up a join up b on a.dst = b.src join up c on c.src = a.src and c.dst = b.dst)"
+_C4 = "c4 as materialized (select a.x, b.z as w from c3 a join c3 b on b.x = a.y and b.y = a.z)"
 query("clique3", f"{_P}, {_C3} select count(*) as n from c3")(lambda s, d: baselines.clique_grow(graph(s, d, "coorder").edges, 3).agg(F.count("*").alias("n")))
-query("clique4", f"{_P}, {_C3} select count(*) as n from c3 join up e on e.src = z join up f on f.src = x and f.dst = e.dst join up h on h.src = y and h.dst = e.dst")(lambda s, d: baselines.clique_grow(graph(s, d, "coorder").edges, 4).agg(F.count("*").alias("n")))
+query("clique4", f"{_P}, {_C3}, {_C4} select count(*) as n from c4 join up e on e.src = x and e.dst = w")(lambda s, d: baselines.clique_grow(graph(s, d, "coorder").edges, 4).agg(F.count("*").alias("n")))
 query("clique3_sieve", f"{_P}, {_C3} select count(*) as n from c3")(lambda s, d: count_matches(sieve(graph(s, d, "coorder"), Template.unlabelled([(0, 1), (0, 2), (1, 2)])), "subgraphs"))
-query("clique4_sieve", f"{_P}, {_C3} select count(*) as n from c3 join up e on e.src = z join up f on f.src = x and f.dst = e.dst join up h on h.src = y and h.dst = e.dst")(
+query("clique4_sieve", f"{_P}, {_C3}, {_C4} select count(*) as n from c4 join up e on e.src = x and e.dst = w")(
     lambda s, d: count_matches(sieve(graph(s, d, "coorder"), Template.unlabelled([(a, b) for b in range(4) for a in range(b)]), switch_below=1 << 62), "subgraphs")
 )
 
@@ -333,7 +334,7 @@ query("join_semi", f"{_M2} select vid from gv where vid in (select r0 from m uni
 query("join_anti", f"{_M2} select vid from gv where vid not in (select r0 from m union select r1 from m union select r2 from m)")(lambda s, d: graph(s, d, "trade").vertices.join(solution(s, d, "w2").state.masks, "vid", "left_anti").select("vid"))
 query("join_null_safe", "select d.doc_id, l.toxic from documents d join labels l on d.doc_id is not distinct from l.doc_id")(lambda s, d: (lambda x, y: x.join(y, x.doc_id.eqNullSafe(y.doc_id)).select(x.doc_id, y.toxic))(table(s, d, "documents"), table(s, d, "labels")))
 for _n, _h in (("join_inner_broadcast", "broadcast"), ("join_shuffle_hash", "shuffle_hash"), ("join_sort_merge", "merge")):
-    query(_n, f"{_TR} select a.src as o, count(*) as wedges from ge a join gv x on x.vid = a.src and x.label = 'order:F' join ge b on b.src = a.dst join gv y on y.vid = b.dst and y.label = 'supplier' group by a.src")(
+    query(_n, f"{_TR}, l as materialized (select src, dst from ge join gv on vid = src and label = 'order:F'), r as materialized (select src, count(*) as n from ge join gv on vid = dst and label = 'supplier' group by src) select l.src as o, cast(sum(n) as bigint) as wedges from l join r on r.src = l.dst group by l.src")(
         lambda s, d, h=_h: (lambda e: e.filter("slabel = 'order:F'").select(F.col("src").alias("o"), F.col("dst").alias("mid")).join(e.filter("dlabel = 'supplier'").select(F.col("src").alias("mid"), "dst").hint(h), "mid").groupBy("o").agg(F.count("*").alias("wedges")))(graph(s, d, "trade").edges)
     )
 query("join_asof", "select p.event_id as purchase, c.event_id as click from (select * from events where event_type = 'purchase') p asof join (select * from events where event_type = 'click') c on p.user_id = c.user_id and p.ts >= c.ts")(

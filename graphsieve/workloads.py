@@ -44,7 +44,7 @@ WORKLOADS: dict[str, tuple[str, Template]] = {
     "randlab_q4": ("random25", star("L0|L1|L2|L1", [(0, 1), (1, 2), (2, 3)])),
     "randlab_q6": ("random50", star("L0|L1|L2|L3", _FOUR_CYCLE)),
     "randlab_q8": ("random100", star("L0|L1|L2|L3|L4", [(0, 1), (1, 2), (2, 3), (3, 0), (3, 4)])),
-    "knn_q4": ("knn", star("v3|v3|v3", [(0, 1), (1, 2)])),
+    "knn_q4": ("knn", star("v7|v3|v7", [(0, 1), (1, 2)])),
     "rank_q4": ("session_ranked", star("R1|R2|R3|R1", [(0, 1), (1, 2), (2, 3)])),
     "rank_q6": ("session_ranked", star("R1|R2|R6|R3", [(0, 1), (1, 2), (0, 2), (1, 3), (2, 3)])),
     "rank_q7": ("session_ranked", star("R1|R2|R6|R3", [(0, 1), (1, 2), (0, 2), (1, 3)])),
