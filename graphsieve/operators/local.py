@@ -270,7 +270,7 @@ def has_walk(kept: Kept, frequency: dict) -> bool:
     return walk.found
 
 
-def sieve_kept(kept: Kept, *, rule: str = "hall", eliminate: str = "both", how: str = "live", policy: str = "type_then_length", starts: str = "all", extra: int = 0, edge_scope: str = "confirmed", max_rules: int | None = None, deadline_s: float | None = None, switch_below: int | None = None, skip: tuple[str, ...] = (), memo: Callable | None = None) -> list[dict]:
+def sieve_kept(kept: Kept, *, rule: str = "hall", eliminate: str = "both", how: str = "live", policy: str = "type_then_length", starts: str = "all", extra: int = 0, edge_scope: str = "confirmed", max_rules: int | None = None, deadline_s: float | None = None, switch_below: int | None = None, least_gain: float = 0.01, skip: tuple[str, ...] = (), memo: Callable | None = None) -> list[dict]:
     """The whole main loop on kept edges; returns its trace. ``skip``: signatures of rules that were checked before. ``memo``: asked for the sources
     that are known to fail a rule."""
     t, trace = kept.t, []
@@ -303,6 +303,8 @@ def sieve_kept(kept: Kept, *, rule: str = "hall", eliminate: str = "both", how:
         if (int(kept.mask.sum()), len(kept.s)) != before:
             rounds, messages = kept.fixpoint(rule, eliminate)
             note("neighbourhood", rule, rounds, messages)
+        if not early and before[1] - len(kept.s) < least_gain * before[1]:
+            break
     if edge_scope != "roles" and not early:
         tokens = confirm(kept, freq, "live" if how == "issuer" else how)
         note("confirm", "full cover", 1, tokens, tokens)

@@ -53,7 +53,7 @@ def label_frequency(state: State) -> dict[str, int]:
 
 def sieve(
     g: LabeledGraph | None, t: Template, *, rule: str = "hall", eliminate: str = "both", how: str = "live", policy: str = "type_then_length", starts: str = "all", extra: int = 0, edge_scope: str = "confirmed",
-    max_rules: int | None = None, deadline_s: float | None = None, buckets: int = 1, switch_below: int | None = None, local_below: int = LOCAL_EDGES, hub_degree: int | None = None, state: State | None = None,
+    max_rules: int | None = None, deadline_s: float | None = None, buckets: int = 1, switch_below: int | None = None, least_gain: float = 0.01, local_below: int = LOCAL_EDGES, hub_degree: int | None = None, state: State | None = None,
 ) -> Solution:
     """Reduce ``g`` to the union of all matches of ``t``.
 
@@ -62,7 +62,7 @@ def sieve(
     rule by one walk forward and back; "every" walks a cycle from each of its roles and a path from both ends; "rarest" from one role.
     ``how`` folds tokens on what is read later ("live"), not at all ("none"), or walks cycles and paths in order with tokens of their issuer and last position
     ("issuer"; where that is unsafe, "live"). ``buckets`` divides the tokens in flight. ``switch_below``: with fewer active edges rules are skipped and confirmation does
-    all. ``local_below``: with no more active edges the rest is done by one task; 0: never. ``hub_degree``: edges from which on a vertex is spread over tasks.
+    all; so they are after a rule that took less than a share ``least_gain`` of the edges (0: every rule is checked). ``local_below``: with no more active edges the rest is done by one task; 0: never. ``hub_degree``: edges from which on a vertex is spread over tasks.
     ``state``: start from this superset instead of the graph; its tables stay.
     """
     if starts not in ("all", "every", "rarest") or how not in ("live", "none", "issuer"):
@@ -71,7 +71,7 @@ def sieve(
         starts = "every"  # a walk back needs folded tokens
     began = time.time()
     s = init_candidates(g, t) if state is None else State(t, state.edges, state.rows, state.alone, [], borrowed=True)
-    options = {"rule": rule, "eliminate": eliminate, "how": how, "policy": policy, "starts": starts, "extra": extra, "edge_scope": edge_scope, "switch_below": switch_below}
+    options = {"rule": rule, "eliminate": eliminate, "how": how, "policy": policy, "starts": starts, "extra": extra, "edge_scope": edge_scope, "switch_below": switch_below, "least_gain": least_gain}
     early = max_rules is not None
 
     def rest(s: State, k: int, skip: tuple = ()) -> Solution:
@@ -97,7 +97,7 @@ def sieve(
         if deadline_s is not None and time.time() - began > deadline_s:
             early = True
             break
-        at = time.time()
+        at, before = time.time(), s.rows
         hubs, seen = hubs_of(s) if hub_degree is None else hubs_of(s, hub_degree, 0), {}
         if starts == "all":
             s, took = rule_check(s, r, freq, buckets, hubs, seen)
@@ -111,6 +111,8 @@ def sieve(
             s.trace[-1] |= {"seconds": time.time() - at, "tokens": 0}
         if 0 < s.rows <= local_below:
             return rest(s, k + 1, tuple(x.signature(t) for x in rules[: k + 1]))
+        if not early and before - s.rows < least_gain * before:
+            break
     if edge_scope == "roles" or early:
         return Solution(t, s, False)
     at, seen = time.time(), {}

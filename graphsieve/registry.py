@@ -75,21 +75,21 @@ for _w in ("w2", "exists_none", "w6", "rmat_even_seven"):
 query("exists_distributed_w6", f"{_M6} select count(*) > 0 as found from m")(lambda s, d: s.createDataFrame([(has_match(graph(s, d, "trade"), T6, local_below=0),)], "found boolean"))
 
 # ---- the same answers by the distributed engine alone, and by every option --------------------------------------------------------
-_FAR = {"local_below": 0}
+_FAR = {"local_below": 0, "least_gain": 0}
 for _w in ("w2", "w3", "w6", "topo_b", "shipped"):
     _g, _t = WORKLOADS[_w]
     query(f"distributed_{_w}", f"{oracle_matches(_g, _t)} {_edge_sql(_t)}")(lambda s, d, g=_g, t=_t: sieve(graph(s, d, g), t, **_FAR).edges)
 for _name, _opts in {
     "abl_set_rule": {"rule": "set"}, "abl_count_rule": {"rule": "count"}, "abl_vertices_only": {"eliminate": "vertices"}, "abl_no_fold": {"how": "none"}, "abl_issuer": {"how": "issuer"}, "abl_every_start": {"starts": "every"},
     "abl_rarest_start": {"starts": "rarest"}, "abl_given_order": {"policy": "given"}, "abl_rarest_first": {"policy": "rarest_first"}, "abl_extra_covers": {"extra": 4}, "abl_switch": {"switch_below": 10_000_000},
-    "abl_switch_distributed": {"switch_below": 10_000_000, **_FAR}, "abl_smaller_deployment": {"local_below": 5_000},
+    "abl_least_gain": {"least_gain": 0.5}, "abl_switch_distributed": {"switch_below": 10_000_000, **_FAR}, "abl_smaller_deployment": {"local_below": 5_000},
 }.items():
-    query(_name, f"{_M6} {_edge_sql(T6)}")(lambda s, d, o=_opts: sieve(graph(s, d, "trade"), T6, **o).edges)
+    query(_name, f"{_M6} {_edge_sql(T6)}")(lambda s, d, o=_opts: sieve(graph(s, d, "trade"), T6, **({"least_gain": 0} | o)).edges)
 for _name, _opts in {"abl_buckets": {"buckets": 2}, "abl_hubs": {"hub_degree": 50}, "abl_no_fold_distributed": {"how": "none", "starts": "rarest"}, "abl_issuer_distributed": {"how": "issuer"}, "abl_vertices_only_distributed": {"eliminate": "vertices"}}.items():
     query(_name, f"{_M2} {_edge_sql(T2)}")(lambda s, d, o=_opts: sieve(graph(s, d, "trade"), T2, **o, **_FAR).edges)
 for _w, _how in (("rank_q8", "every"), ("w9", "every"), ("topo_c", "rarest")):
     _g, _t = WORKLOADS[_w]
-    query(f"abl_starts_{_how}_{_w}", f"{oracle_matches(_g, _t)} {_edge_sql(_t)}")(lambda s, d, g=_g, t=_t, h=_how: sieve(graph(s, d, g), t, starts=h).edges)
+    query(f"abl_starts_{_how}_{_w}", f"{oracle_matches(_g, _t)} {_edge_sql(_t)}")(lambda s, d, g=_g, t=_t, h=_how: sieve(graph(s, d, g), t, starts=h, least_gain=0).edges)
 
 
 @query("abl_rebalance", f"{_M2} {_edge_sql(T2)}")
@@ -135,7 +135,7 @@ def _fold_work(s, d):
     rows = []
     for w in ("w6", "rank_q8", "topo_c"):
         for how in ("none", "live", "issuer"):
-            x = sieve(graph(s, d, WORKLOADS[w][0]), WORKLOADS[w][1], how=how, starts="rarest")
+            x = sieve(graph(s, d, WORKLOADS[w][0]), WORKLOADS[w][1], how=how, starts="rarest", least_gain=0)
             rows.append((w, how, sum(r.get("tokens", 0) for r in x.trace), x.state.rows))
     return s.createDataFrame(rows, "workload string, fold string, tokens long, e_star long")
 

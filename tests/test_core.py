@@ -58,7 +58,7 @@ def test_fixtures(spark, name):
     t, labels, edges = FIXTURES[name]
     ms = brute(labels, edges, t)
     g = graph(spark, labels, edges)
-    for options in ({}, {"starts": "every"}, {"how": "none"}, *([{"local_below": 0}] if name in ("false_edge", "fold", "star") else [])):
+    for options in ({}, {"starts": "every", "least_gain": 0}, {"how": "none", "least_gain": 0}, *([{"local_below": 0, "least_gain": 0}] if name in ("false_edge", "fold", "star") else [])):
         s = sieve(g, t, **options)
         assert answer(s) == exact(ms, t), options
     assert count_matches(s).first().n == len(ms)
