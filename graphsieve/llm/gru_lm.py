@@ -24,7 +24,9 @@ from graphsieve.llm.common import id_crc, materialize, utf8
 WORDS, CLASSES, HIDDEN = 2048, 32, 16
 #: Words whose counts are held by every task; the rest are joined.
 HELD_WORDS = 150_000
-ROUNDS, MAX_TRAINERS = 2, 64
+ROUNDS = 2
+#: Tokens of a trainer, at least, before there are more trainers; parameters are averaged in parts of PART numbers.
+TRAINER_TOKENS, PART = 500_000, 8192
 LANES, STEPS = 256, 32
 #: Lanes and rate of training.
 TRAIN_LANES, RATE = 128, 0.2
@@ -318,22 +320,46 @@ def word_counts(training: DataFrame) -> DataFrame:
     return training.select("text").mapInArrow(counted, "word binary, n long").groupBy("word").agg(F.sum("n").alias("n"))
 
 
-def train(training: DataFrame, vocabulary: Vocabulary, rounds: int = ROUNDS, seed: int = 1) -> tuple[np.ndarray, int]:
+def _averaged(found: DataFrame) -> dict[int, tuple[int, np.ndarray]]:
+    """Tokens and means of parts of parameters, weighted by tokens, from rows ``(trainer, part, tokens, p)``: summed on the cluster, part by part."""
+
+    def summed(batches):
+        part, weight, total = None, 0, 0.0
+        for batch in batches:
+            for k, n, p in zip(batch["part"].to_pylist(), batch["tokens"].to_pylist(), batch["p"]):
+                if k != part:
+                    if part is not None:
+                        yield one(part, weight, total / weight)
+                    part, weight, total = k, 0, 0.0
+                weight, total = weight + n, total + np.frombuffer(p.as_py(), np.float32).astype(np.float64) * n
+        if part is not None:
+            yield one(part, weight, total / weight)
+
+    def one(part, weight, mean):
+        return pa.RecordBatch.from_pydict({"part": pa.array([part], pa.int32()), "tokens": pa.array([weight], pa.int64()), "p": pa.array([mean.astype(np.float32).tobytes()], pa.binary())})
+
+    dealt = found.repartition("part").sortWithinPartitions("part", "trainer").drop("trainer")
+    return {r.part: (r.tokens, np.frombuffer(r.p, np.float32)) for r in dealt.mapInArrow(summed, "part int, tokens long, p binary").collect()}  # one model, half a MB
+
+
+def train(training: DataFrame, vocabulary: Vocabulary, tokens: int, rounds: int = ROUNDS, seed: int = 1) -> tuple[np.ndarray, int]:
     """Parameters after ``rounds`` of averaging, and the tokens learnt from. Every document is dealt to one trainer and one round; copies are spread.
 
-    Trainers follow the session's shuffle partitions, up to MAX_TRAINERS; only their parameters (half a MB each) reach the driver.
+    Trainers grow with ``tokens`` (those of all training texts), as far as the session's shuffle partitions. Their parameters are averaged on
+    the cluster; the driver gets the mean alone.
     """
     spark = training.sparkSession
-    trainers = max(1, min(MAX_TRAINERS, int(spark.conf.get("spark.sql.shuffle.partitions"))))
+    trainers = max(1, min(tokens // TRAINER_TOKENS, int(spark.conf.get("spark.sql.shuffle.partitions"))))
     dealt = training.select("text", F.xxhash64(F.monotonically_increasing_id(), F.lit(seed)).alias("draw"))
     dealt = dealt.select("text", "draw", F.pmod(F.xxhash64("draw"), F.lit(rounds)).alias("round"))
     chosen = materialize(dealt.repartition(trainers, "draw").select("text", "round"), "lm-training")
-    seen = 0
-    flat = Gru(vocabulary, seed=seed).flat()
+    flat, seen = Gru(vocabulary, seed=seed).flat(), 0
     for r in range(rounds):
         held = spark.sparkContext.broadcast((vocabulary, flat))
 
         def learnt(batches):
+            from pyspark import TaskContext
+
             _one_thread()
             v, start = held.value
             ids, unk, documents = v.ids.get, v.unk, []
@@ -345,14 +371,15 @@ def train(training: DataFrame, vocabulary: Vocabulary, rounds: int = ROUNDS, see
                     documents = []
             total += train_documents(model, documents)
             if total:
-                yield pa.RecordBatch.from_pydict({"tokens": pa.array([total]), "p": pa.array([model.flat().tobytes()], pa.binary())})
+                p, trainer = model.flat(), TaskContext.get().partitionId()
+                parts = [p[at : at + PART].tobytes() for at in range(0, len(p), PART)]
+                n = len(parts)
+                yield pa.RecordBatch.from_pydict({"trainer": pa.array([trainer] * n, pa.int32()), "part": pa.array(range(n), pa.int32()), "tokens": pa.array([total] * n, pa.int64()), "p": pa.array(parts, pa.binary())})
 
         part = chosen.filter(F.col("round") == r).select("text").coalesce(trainers)
-        found = part.mapInArrow(learnt, "tokens long, p binary").collect()  # one row per task, at most MAX_TRAINERS tasks
-        total = sum(x.tokens for x in found)
-        seen += total
-        if total:
-            flat = sum(np.frombuffer(x.p, np.float32) * np.float32(x.tokens / total) for x in found)
+        means = _averaged(part.mapInArrow(learnt, "trainer int, part int, tokens long, p binary"))
+        if means:
+            flat, seen = np.concatenate([means[k][1] for k in sorted(means)]), seen + means[0][0]
         held.unpersist()
     return flat, seen
 
@@ -384,7 +411,7 @@ def lm_scores(docs: DataFrame, held_words: int = HELD_WORDS) -> DataFrame:
     total, distinct = lexicon.agg(F.coalesce(F.sum("n"), F.lit(0)), F.count("*")).first()
     top = _commonest(lexicon, held_words)
     vocabulary = Vocabulary(top, total)
-    flat = train(training, vocabulary)[0] if total else Gru(vocabulary).flat()
+    flat = train(training, vocabulary, total)[0] if total else Gru(vocabulary).flat()
     counts = dict(top)
     in_model = sum(counts[w] for w in vocabulary.ids)
     outside = (total - in_model) + SMOOTH * (distinct - len(vocabulary.ids) + 1)

@@ -98,10 +98,25 @@ def test_lm_learns_from_every_document(spark):
     words = gru_lm.word_counts(docs).collect()
     total = sum(r.n for r in words)
     vocabulary = gru_lm.Vocabulary(sorted(((bytes(r.word), r.n) for r in words), key=lambda x: -x[1]), total)
-    _, seen = gru_lm.train(docs, vocabulary)
+    _, seen = gru_lm.train(docs, vocabulary, total)
     assert seen == total
 
 
+def test_parameters_are_averaged_on_the_cluster(spark):
+    """More trainers than one: the mean of every part is weighted by the trainers' tokens."""
+    rng = np.random.default_rng(7)
+    made = [(t, k, n, rng.normal(size=5).astype(np.float32)) for t, n in enumerate((10, 30, 1)) for k in range(3)]
+    found = gru_lm._averaged(spark.createDataFrame([(t, k, n, p.tobytes()) for t, k, n, p in made], "trainer int, part int, tokens long, p binary"))
+    for k in range(3):
+        assert found[k][0] == 41
+        np.testing.assert_allclose(found[k][1], sum(n * p for _, j, n, p in made if j == k) / 41, rtol=1e-5)
+
+
+def test_trainers_share_every_document(spark, monkeypatch):
+    monkeypatch.setattr(gru_lm, "TRAINER_TOKENS", 200)
+    test_lm_learns_from_every_document(spark)
+
+
 def test_lm_odd_rows(spark):
     """Null and empty texts are one token, the end; repeated rows and ids count each; other columns are not read; an empty table gives none."""
     rows = [(1, None, "z"), (2, "", "z"), (3, "one two", "z"), (3, "one two", "z"), (None, "one", "z"), (4, "three " * 30_000, "z")]
