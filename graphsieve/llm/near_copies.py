@@ -1,9 +1,10 @@
-"""Near copies by the similarity of whole texts: shingle sets whose Jaccard similarity is at least 0.8.
+"""Near copies by SimHash, checked by the similarity of whole texts: shingle sets whose Jaccard similarity is at least 0.8.
 
-Texts of the same words are one from the start. Of every other text's set of shingles, MinHash keys are made (BANDS keys of ROWS minima each);
-texts that share a key are candidates. Two sets of similarity 0.8 share none with a chance of 5 in a million, more similar ones with less.
-Candidates that keys connect come together with their texts, and those that share a key are compared set by set, exactly. A
-group gives a spanning forest of its links; long groups are split into blocks, of which every two are compared in a task of their own.
+Texts of the same words are one from the start. Every other text gets a SimHash fingerprint of its shingles, and operator 8's index of byte
+places with its count filter links fingerprints of up to four differing bits. Similarity 0.8 is some ten bits, beyond that index, so candidates are
+widened by MinHash keys of the same shingles (BANDS keys of ROWS minima each): two sets of similarity 0.8 share none with a chance of 5 in a million.
+Candidates that links or keys connect come together with their texts, and those near by fingerprint or with a key in common are compared set by set,
+exactly. A group gives a spanning forest of its links; long groups are split into blocks, of which every two are compared in a task of their own.
 """
 
 from __future__ import annotations
@@ -14,7 +15,7 @@ from pyspark.sql import DataFrame, Window
 from pyspark.sql import functions as F
 
 from graphsieve.llm.common import materialize, utf8
-from graphsieve.llm.simhash import order_of, with_rows
+from graphsieve.llm.simhash import MAX_BITS, _close, links, majority, order_of, shingle_hashes, with_rows
 from graphsieve.operators.components import connected_components
 
 SHINGLE = 5
@@ -32,17 +33,7 @@ _MIX = _DRAW.integers(0, 1 << 63, (BANDS, ROWS), np.uint64) * np.uint64(2) + np.
 
 def shingle_set(text: bytes, shingle: int = SHINGLE) -> np.ndarray:
     """Sorted distinct hashes of the shingles of a text's words; a shorter text is one shingle, one without words none."""
-    import xxhash
-
-    words = text.lower().split()
-    if not words:
-        return np.empty(0, np.uint64)
-    joined, digest = b" ".join(words), xxhash.xxh64_intdigest
-    if len(words) <= shingle:
-        return np.array([digest(joined, 42)], np.uint64)
-    ends = np.cumsum(np.fromiter(map(len, words), np.int64, len(words)) + 1)
-    starts = np.concatenate([[0], ends[: len(words) - shingle]]).tolist()
-    return np.unique(np.array([digest(joined[a:b], 42) for a, b in zip(starts, (ends[shingle - 1 :] - 1).tolist())], np.uint64))
+    return np.unique(shingle_hashes(text, shingle))
 
 
 def keys_of(hashes: np.ndarray) -> np.ndarray:
@@ -69,14 +60,14 @@ def similar(a: np.ndarray, b: np.ndarray) -> bool:
     return shared * under >= (n + m - shared) * over
 
 
-def forest(rows: list[int], sets: list[np.ndarray], keys: np.ndarray) -> list[tuple[int, int]]:
-    """Links that join the rows as all links of similar ones that share a key would."""
+def forest(rows: list[int], sets: list[np.ndarray], keys: np.ndarray, fps: np.ndarray) -> list[tuple[int, int]]:
+    """Links that join the rows as all links of similar ones that share a key, or whose fingerprints are near, would."""
     left, out = np.arange(len(rows)), []
     while left.size:
         frontier, left = [left[0]], left[1:]
         while frontier and left.size:
             f = frontier.pop()
-            near = (keys[left] == keys[f]).any(1)
+            near = (keys[left] == keys[f]).any(1) | _close(np.full(left.shape, fps[f], np.uint64), fps[left], MAX_BITS)
             near[near] = [similar(sets[f], sets[x]) for x in left[near]]
             out += [(rows[f], rows[x]) for x in left[near]]
             frontier += list(left[near])
@@ -85,7 +76,7 @@ def forest(rows: list[int], sets: list[np.ndarray], keys: np.ndarray) -> list[tu
 
 
 def _sketches(docs: DataFrame) -> DataFrame:
-    """Rows ``(row, doc_id, words, keys)``: the digest of a text's words and the keys of its set."""
+    """Rows ``(row, doc_id, words, fp, keys)``: the digest of a text's words, its fingerprint and the keys of its set."""
 
     def made(batches):
         import xxhash
@@ -93,10 +84,22 @@ def _sketches(docs: DataFrame) -> DataFrame:
         for batch in batches:
             texts = utf8(batch["text"])
             words = [xxhash.xxh3_128_digest(b" ".join(t.lower().split())) for t in texts]
-            keys = [keys_of(shingle_set(t)) for t in texts]
-            yield pa.RecordBatch.from_pydict({"row": batch["_row"], "doc_id": batch["doc_id"].cast(pa.int64()), "words": pa.array(words, pa.binary()), "keys": pa.array(keys, pa.list_(pa.int64()))})
+            hashes = [shingle_hashes(t, SHINGLE) for t in texts]
+            fp = np.array([majority(h) for h in hashes], "<u8").view("<i8")
+            keys = [keys_of(np.unique(h)) for h in hashes]
+            yield pa.RecordBatch.from_pydict({"row": batch["_row"], "doc_id": batch["doc_id"].cast(pa.int64()), "words": pa.array(words, pa.binary()), "fp": pa.array(fp), "keys": pa.array(keys, pa.list_(pa.int64()))})
+
+    return docs.select("_row", "doc_id", "text").mapInArrow(made, "row long, doc_id long, words binary, fp long, keys array<long>")
 
-    return docs.select("_row", "doc_id", "text").mapInArrow(made, "row long, doc_id long, words binary, keys array<long>")
+
+def candidates(single: DataFrame) -> DataFrame:
+    """Rows ``(row, least)`` that connect what may be similar: by SimHash links of up to MAX_BITS bits, and by keys in common."""
+    fps = materialize(single.groupBy("fp").agg(F.min("row").alias("rep")), "near-fps")
+    alike = single.join(fps, "fp").filter("row <> rep").select("row", F.col("rep").alias("least"))
+    linked = links(fps.select("fp")).join(fps.select(F.col("fp").alias("src"), F.col("rep").alias("row")), "src").join(fps.select(F.col("fp").alias("dst"), F.col("rep").alias("least")), "dst")
+    least = F.min("row").over(Window.partitionBy("key"))
+    keyed = single.select("row", F.explode("keys").alias("key")).withColumn("least", least).filter("row <> least").select("row", "least")
+    return keyed.unionByName(alike).unionByName(linked.select("row", "least")).distinct()
 
 
 def _links(met: DataFrame) -> DataFrame:
@@ -111,7 +114,9 @@ def _links(met: DataFrame) -> DataFrame:
 
     def compared(batches):
         def links(rows, sets):
-            found = forest(rows, sets, np.array([keys_of(s) for s in sets])) if len(rows) > 1 else []
+            fps = np.array([f for _, f in sets], np.uint64)
+            sets = [s for s, _ in sets]
+            found = forest(rows, sets, np.array([keys_of(s) for s in sets]), fps) if len(rows) > 1 else []
             if found:
                 pairs = np.array(found, np.int64)
                 yield pa.RecordBatch.from_pydict({"src": pa.array(pairs[:, 0]), "dst": pa.array(pairs[:, 1])})
@@ -123,7 +128,8 @@ def _links(met: DataFrame) -> DataFrame:
                     yield from links(rows, sets)
                     at, rows, sets = here, [], []
                 rows.append(row)
-                sets.append(shingle_set(text))
+                h = shingle_hashes(text, SHINGLE)
+                sets.append((np.unique(h), majority(h)))
         yield from links(rows, sets)
 
     return dealt.repartition(*place).sortWithinPartitions(*place, "row").mapInArrow(compared, "src long, dst long")
@@ -133,11 +139,9 @@ def keep_one_similar(docs: DataFrame) -> DataFrame:
     """One row of each group of near copies stays: that of the smallest doc_id, null ids last. A group is what links of similar texts connect;
     texts without words are one group."""
     docs = with_rows(docs)
-    sketches = _sketches(docs).groupBy("words").agg(F.min(order_of("row")).alias("first"), F.any_value("keys").alias("keys"))
-    single = materialize(sketches.select("first", F.col("first.row").alias("row"), "keys"), "near-texts")
-    least = F.min("row").over(Window.partitionBy("key"))
-    met = single.select("row", F.explode("keys").alias("key")).withColumn("least", least).filter("row <> least").select("row", "least").distinct()
-    groups = connected_components(materialize(met, "near-met"), "row", "least")
+    sketches = _sketches(docs).groupBy("words").agg(F.min(order_of("row")).alias("first"), F.any_value("fp").alias("fp"), F.any_value("keys").alias("keys"))
+    single = materialize(sketches.select("first", F.col("first.row").alias("row"), "fp", "keys"), "near-texts")
+    groups = connected_components(materialize(candidates(single), "near-met"), "row", "least")
     texts = docs.select(F.col("_row").alias("row"), "text").join(groups.select(F.col("node").alias("row"), F.col("component").alias("group")), "row")
     linked = connected_components(materialize(_links(materialize(texts, "near-candidates")), "near-links")).withColumnRenamed("node", "row")
     kept = single.join(linked, "row", "left").groupBy(F.coalesce("component", "row").alias("group")).agg(F.min("first").alias("first"))

@@ -38,26 +38,34 @@ def _triples() -> list[tuple[int, int, int]]:
 TRIPLES = _triples()
 
 
-def fingerprint_of(text: bytes, shingle: int = 4) -> int:
-    """SimHash of the words of a text: a bit is set if more than half of the shingles' hashes set it; 0 without words."""
+def shingle_hashes(text: bytes, shingle: int = 4) -> np.ndarray:
+    """XXH64 of every shingle of a text's words, repeats included; a shorter text is one shingle, one without words none."""
     import xxhash
 
-    words = text.lower().split()
+    words, digest = text.lower().split(), xxhash.xxh64_intdigest
     if not words:
-        return 0
+        return np.empty(0, "<u8")
     joined = b" ".join(words)
-    if len(words) < shingle:
-        return xxhash.xxh64_intdigest(joined, 42)
+    if len(words) <= shingle:
+        return np.array([digest(joined, 42)], "<u8")
     ends = np.cumsum(np.fromiter(map(len, words), np.int64, len(words)) + 1)
     starts = np.concatenate([[0], ends[: len(words) - shingle]]).tolist()
-    digest = xxhash.xxh64_intdigest
-    h = np.array([digest(joined[a:b], 42) for a, b in zip(starts, (ends[shingle - 1 :] - 1).tolist())], "<u8")
+    return np.array([digest(joined[a:b], 42) for a, b in zip(starts, (ends[shingle - 1 :] - 1).tolist())], "<u8")
+
+
+def majority(h: np.ndarray) -> int:
+    """The bits that more than half of the hashes set."""
     total = np.zeros(64, np.int64)
     for k in range(0, len(h), 1 << 16):
         total += np.unpackbits(h[k : k + (1 << 16)].view(np.uint8).reshape(-1, 8), axis=1, bitorder="little").sum(0, dtype=np.int64)
     return int(np.packbits(total * 2 > len(h), bitorder="little").view("<u8")[0])
 
 
+def fingerprint_of(text: bytes, shingle: int = 4) -> int:
+    """SimHash of the words of a text: a bit is set if more than half of the shingles' hashes set it; 0 without words."""
+    return majority(shingle_hashes(text, shingle))
+
+
 def fingerprints(docs: DataFrame, shingle: int = 4) -> DataFrame:
     """Rows ``(doc_id, fp)`` of whole texts; fp as a signed 64-bit integer. Null and empty texts have fingerprint 0."""
 
