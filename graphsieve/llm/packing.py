@@ -15,7 +15,7 @@ import pyarrow as pa
 from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
-from graphsieve.llm.common import PieceEncoder, materialize
+from graphsieve.llm.common import PieceEncoder, materialize, worker_kept
 
 CAPACITY = 2048
 GROUP = 8_000  # pieces that are packed together
@@ -95,6 +95,7 @@ def _packer(capacity: int, again: bool):
     """Packs one group; when ``again``, keeps the bins that came unless fewer are found."""
 
     def packed(table):
+        worker_kept(("packer",), bool)  # the encoder of the stage before goes, with its memory
         table = table.sort_by([("length", "descending"), ("uid", "ascending")])
         lengths = table["length"].to_numpy()
         bins, offsets, fills = best_fit_decreasing(lengths, capacity)
