@@ -35,3 +35,20 @@ def test_wedges_stay_in_tasks(spark):
         assert "LeftSemi" not in plan and "Join" not in plan
     assert baselines.clique_grow(edges.limit(0), 4).count() == 0
     assert baselines.clique_grow(edges.filter("src = 0 or dst = 0"), 3).columns == ["c0", "c1", "c2"]
+
+
+def test_triangle_count_joins_nothing(spark, sf):
+    from graphsieve.registry import QUERIES
+
+    out = QUERIES["triangle_count"](spark, sf)
+    plan = out._jdf.queryExecution().optimizedPlan().toString()
+    assert "Join" not in plan and out.columns == ["n"]
+    up = spark.read.parquet(f"{sf}/lineitem.parquet").select("l_orderkey", "l_partkey").distinct()
+    sets = {}
+    for order, part in up.collect():
+        sets.setdefault(order, set()).add(part)
+    near = {}
+    for parts in sets.values():
+        for a in parts:
+            near.setdefault(a, set()).update(x for x in parts if x > a)
+    assert out.first().n == sum(len(near[a] & near.get(b, set())) for a in near for b in near[a])
