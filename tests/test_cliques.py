@@ -52,3 +52,25 @@ def test_triangle_count_joins_nothing(spark, sf):
         for a in parts:
             near.setdefault(a, set()).update(x for x in parts if x > a)
     assert out.first().n == sum(len(near[a] & near.get(b, set())) for a in near for b in near[a])
+
+
+@pytest.mark.parametrize("k", [3])
+def test_sieve_walks_no_wedges(spark, k, monkeypatch):
+    from graphsieve.operators import walks
+    from graphsieve.operators.reduce import LabeledGraph
+    from graphsieve.operators.sieve import count_matches, sieve
+    from graphsieve.plans.template import Template
+    from pyspark.sql import functions as F
+
+    pairs, edges = graph(spark)
+    ids = sorted({v for p in pairs for v in p})
+    want = [c for c in combinations(ids, k) if all(p in pairs for p in combinations(c, 2))]
+    g = LabeledGraph(edges.select(F.col("src").alias("vid"), F.lit("*").alias("label")).distinct(), edges)
+    monkeypatch.setattr(walks, "hop", None)  # the walk's expansion
+    t = Template.unlabelled([(a, b) for b in range(k) for a in range(b)])
+    s = sieve(g, t, local_below=0, least_gain=0)
+    near = {p for c in want for p in combinations(c, 2)}
+    assert want and {tuple(r) for r in s.edges.collect()} == near | {(b, a) for a, b in near}
+    assert {tuple(r) for r in s.role_map().collect()} == {(v, q) for c in want for v in c for q in range(k)}
+    assert count_matches(s, "subgraphs").first().n == len(want)
+    assert count_matches(s).first().n == len(want) * (6 if k == 3 else 24)
