@@ -54,7 +54,7 @@ def test_triangle_count_joins_nothing(spark, sf):
     assert out.first().n == sum(len(near[a] & near.get(b, set())) for a in near for b in near[a])
 
 
-@pytest.mark.parametrize("k", [3])
+@pytest.mark.parametrize("k", [3, 4])
 def test_sieve_walks_no_wedges(spark, k, monkeypatch):
     from graphsieve.operators import walks
     from graphsieve.operators.reduce import LabeledGraph
