@@ -3,6 +3,7 @@
 import random
 from itertools import combinations
 
+import numpy as np
 import pytest
 from graphsieve.operators import baselines, cliques
 
@@ -28,6 +29,24 @@ def test_blocks(spark, block):
         assert want and sorted(map(tuple, three.collect())) == want
 
 
+def test_packs(monkeypatch):
+    monkeypatch.setattr(cliques, "PACKED", 50)
+    rows = np.arange(999).reshape(3, -1) * (1 << 33)
+    packs = list(cliques._packed([[c[:7] for c in rows], [c[7:] for c in rows]]))
+    told = [(place, *r) for place, cols in cliques._unpacked(packs, 3) for r in zip(*cols)]
+    assert sorted(x[1:] for x in told) == sorted(zip(*rows)) and len({x[0] for x in told}) > 100 and 1 < len(packs) < 99
+
+
+def test_sieve_of_cliques_stores_no_graph(spark, sf):
+    from graphsieve import workloads
+    from graphsieve.registry import QUERIES
+
+    workloads.forget()
+    four = QUERIES["clique4_sieve"](spark, sf).first().n
+    assert not any(k[3] == "graph" for k in workloads._made)
+    assert four == QUERIES["clique4"](spark, sf).first().n > 0
+
+
 def test_wedges_stay_in_tasks(spark):
     _, edges = graph(spark)
     for k in (3, 4):
